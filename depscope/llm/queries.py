@@ -6,14 +6,24 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from depscope.llm.decontamination import OP8_SQL, op8_decontamination
+from depscope.llm.mixing import OP7_SQL, op7_mixing
+from depscope.llm.quality_rules import OP10_SQL, op10_quality_rules
 from depscope.llm.simhash import op3_simhash
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op3_simhash": op3_simhash,
+        "op7_mixing": op7_mixing,
+        "op8_decontamination": op8_decontamination,
+        "op10_quality_rules": op10_quality_rules,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {
+        "op7_mixing": OP7_SQL,
+        "op8_decontamination": OP8_SQL,
+        "op10_quality_rules": OP10_SQL,
+    }
