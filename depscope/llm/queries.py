@@ -8,15 +8,19 @@ from pyspark.sql import DataFrame, SparkSession
 
 from depscope.llm.decontamination import OP8_SQL, op8_decontamination
 from depscope.llm.mixing import OP7_SQL, op7_mixing
+from depscope.llm.pii import op5_pii
 from depscope.llm.quality_rules import OP10_SQL, op10_quality_rules
+from depscope.llm.secrets import op9_secrets
 from depscope.llm.simhash import op3_simhash
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op3_simhash": op3_simhash,
+        "op5_pii": op5_pii,
         "op7_mixing": op7_mixing,
         "op8_decontamination": op8_decontamination,
+        "op9_secrets": op9_secrets,
         "op10_quality_rules": op10_quality_rules,
     }
 
