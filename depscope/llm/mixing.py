@@ -38,17 +38,19 @@ def _sources(sized: DataFrame, weights: tuple[int, ...], epochs: int) -> DataFra
     rank = F.row_number().over(Window.orderBy(F.col("source").asc_nulls_last())) - 1
     weight = F.element_at(F.array(*map(F.lit, weights)), F.pmod(rank, F.lit(len(weights))).cast("int") + 1)
     s = s.select("source", "source_size", weight.cast("long").alias("w"))
-    order = Window.orderBy(F.col("source_size") / F.col("w"), F.col("source").asc_nulls_last()).rowsBetween(Window.unboundedPreceding, -1)
+    by_cap = Window.orderBy(F.col("source_size") / F.col("w"), F.col("source").asc_nulls_last())
+    order = by_cap.rowsBetween(Window.unboundedPreceding, -1)
     every = Window.orderBy(F.lit(1)).rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
     s = s.select(
         "*",
+        F.row_number().over(by_cap).alias("nth"),
         (F.sum("source_size").over(every) - epochs * F.coalesce(F.sum("source_size").over(order), F.lit(0))).alias("left"),
         (F.sum("w").over(every) - F.coalesce(F.sum("w").over(order), F.lit(0))).alias("w_left"),
     )
-    # the level that would suffice if this source and all after it were not held
+    # the level that would suffice if this source and all after it were not held; the first source that isn't held decides
     level = F.col("left").cast("double") / F.col("w_left")
     held = level * F.col("w") > epochs * F.col("source_size")
-    s = s.withColumn("level", F.min(F.when(~held, F.struct(F.col("source_size") / F.col("w"), level.alias("level")))).over(every)["level"])
+    s = s.withColumn("level", F.min(F.when(~held, F.struct("nth", level.alias("level")))).over(every)["level"])
     cap = (epochs * F.col("source_size")).cast("double")
     return s.select("source", "source_size", F.coalesce(F.least(F.col("w") * F.col("level"), cap), cap).alias("target"))
 
@@ -124,14 +126,16 @@ WITH d AS (
   SELECT doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+'))::BIGINT AS size, md5(coalesce(doc_id::VARCHAR, '')) AS key FROM documents
 ), s AS (
   SELECT source, sum(size)::BIGINT AS source_size, [5, 2, 1][((row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3 + 1)::INT] AS w FROM d GROUP BY source
+), n AS (
+  SELECT *, row_number() OVER (ORDER BY source_size / w, source NULLS LAST) AS nth FROM s
 ), c AS (
-  SELECT a.source, a.source_size, a.w,
+  SELECT a.nth, a.source_size, a.w,
     (SELECT sum(source_size) FROM s)::BIGINT - 3 * coalesce(sum(b.source_size), 0)::BIGINT AS left_over,
     (SELECT sum(w) FROM s)::BIGINT - coalesce(sum(b.w), 0)::BIGINT AS w_left
-  FROM s a LEFT JOIN s b ON (b.source_size / b.w, coalesce(b.source, '~~~~')) < (a.source_size / a.w, coalesce(a.source, '~~~~'))
+  FROM n a LEFT JOIN n b ON b.nth < a.nth
   GROUP BY ALL
 ), l AS (
-  SELECT arg_min(left_over::DOUBLE / w_left, source_size / w) AS level FROM c WHERE left_over::DOUBLE / w_left * w <= 3 * source_size
+  SELECT arg_min(left_over::DOUBLE / w_left, nth) AS level FROM c WHERE left_over::DOUBLE / w_left * w <= 3 * source_size
 ), t AS (
   SELECT source, source_size, coalesce(least(w * level, (3 * source_size)::DOUBLE), (3 * source_size)::DOUBLE) AS target FROM s, l
 ), p AS (

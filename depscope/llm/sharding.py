@@ -9,7 +9,7 @@ reader sees one version or the next, and of two writers one fails. A run becomes
 executor leaves behind is never read.
 
 Defined results: null texts count 0 bytes; an empty table makes a version without runs; rows that repeat stay as often as
-they came; all columns are kept as they are (``ds_arrival`` alone is reserved); an arrival may be of any size.
+they came; all columns are kept as they are, and an added column whose name is taken gets underscores behind it; an arrival may be of any size.
 """
 
 from __future__ import annotations
@@ -28,7 +28,6 @@ from depscope.llm.common import hash_key, scratch_path, table, text_or_empty
 TARGET_BYTES = 64 << 20
 #: Runs that fill a tier, and the size of the lowest tier's largest run.
 FANOUT, BASE_BYTES = 4, 1 << 20
-ARRIVAL = "ds_arrival"
 
 
 @dataclass(frozen=True)
@@ -42,6 +41,14 @@ class Run:
     level: int
 
 
+def free_name(name: str, taken: list[str]) -> str:
+    """name, with underscores behind it until no column has it."""
+    low = {c.lower() for c in taken}
+    while name.lower() in low:
+        name += "_"
+    return name
+
+
 def tier(size: int) -> int:
     """How many powers of FANOUT a size is over BASE_BYTES."""
     t = 0
@@ -99,13 +106,13 @@ class Store:
     def append(self, df: DataFrame, arrival: Column, size: Column) -> int:
         """Writes df's arrivals, one run for each value of arrival (short, file-name safe strings), and commits them together."""
         before, folder = self._latest(), f"{self.path}/runs/{uuid.uuid4().hex}"
-        rows = df.withColumn(ARRIVAL, arrival)
-        rows.write.partitionBy(ARRIVAL).parquet(folder)
+        name = free_name("arrival", df.columns)
+        rows = df.withColumn(name, arrival)
+        rows.write.partitionBy(name).parquet(folder)
         # one row an arrival comes back
         back = self.spark.read.schema(rows.schema).parquet(folder)
-        sums = back.groupBy(ARRIVAL).agg(F.count("*").alias("n"), F.sum(size).alias("b")).orderBy(ARRIVAL).collect()
-        made = [Run(r[ARRIVAL], f"{folder}/{ARRIVAL}={r[ARRIVAL]}", r["n"], int(r["b"] or 0), 0) for r in sums]
-        self._schema = df.schema
+        sums = back.groupBy(F.col(name).alias("a")).agg(F.count("*").alias("n"), F.sum(size).alias("b")).orderBy("a").collect()
+        made = [Run(r["a"], f"{folder}/{name}={r['a']}", r["n"], int(r["b"] or 0), 0) for r in sums]
         return self.commit([*self.runs(), *made], before)
 
     def full_tier(self) -> list[Run]:
@@ -131,12 +138,15 @@ class Store:
 
     def read(self, schema, version: int | None = None) -> DataFrame:
         """The rows of a version with their run, tier and shard. A store has few runs: under FANOUT for each tier."""
-        parts = [
-            self.spark.read.schema(schema).parquet(r.path).select("*", F.lit(r.name).alias("run"), F.lit(tier(r.size)).alias("tier"), F.element_at(F.split(F.input_file_name(), "/"), -1).alias("shard"))
-            for r in self.runs(version)
-        ]
+        names = [free_name(n, schema.names) for n in ("run", "tier", "shard")]
+
+        def placed(rows: DataFrame, run: str, level: int, shard: Column) -> DataFrame:
+            return rows.select("*", *(c.alias(n) for c, n in zip((F.lit(run), F.lit(level), shard), names, strict=True)))
+
+        shard = F.element_at(F.split(F.input_file_name(), "/"), -1)
+        parts = [placed(self.spark.read.schema(schema).parquet(r.path), r.name, tier(r.size), shard) for r in self.runs(version)]
         if not parts:
-            return self.spark.createDataFrame([], schema).select("*", F.lit("").alias("run"), F.lit(0).alias("tier"), F.lit("").alias("shard"))
+            return placed(self.spark.createDataFrame([], schema), "", 0, F.lit(""))
         out = parts[0]
         for p in parts[1:]:
             out = out.unionByName(p)
