@@ -235,13 +235,14 @@ def fit(rows: list[list[float]], labels: list[int]) -> list[tuple | float]:
 
 
 def calibrated(trees: list, rows: list[list[float]], labels: list[int]) -> float:
-    """The lowest log odds whose selection reaches PRECISION on these rows, 0 at least."""
+    """A threshold for log odds, 0 at least: halfway below the lowest score whose selection reaches PRECISION on these rows."""
     odds = sorted(((sum(_value(t, r) for t in trees), y) for r, y in zip(rows, labels, strict=True)), reverse=True)
-    good, best = 0, odds[0][0] if odds else 0.0
+    good, best = 0, odds[0][0] + 1 if odds else 0.0
     for n, (x, y) in enumerate(odds, 1):
         good += y
-        if good / n >= PRECISION:
-            best = x
+        below = odds[n][0] if n < len(odds) else x - 2
+        if good / n >= PRECISION and below < x:
+            best = (x + below) / 2
     return max(best, 0.0)
 
 

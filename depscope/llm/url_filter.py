@@ -23,7 +23,7 @@ from depscope.llm.common import ascii_lower, table
 #: (rule, verdict): a host, a slash, and the rest of a path.
 RULES = (("net/", "block"), ("example.net/en/", "allow"), ("example.com/de/", "block"), ("org/fr/", "allow"))
 BUCKETS, SIZES = 1 << 14, (3, 4, 5)
-ROUNDS, RATE, DECAY = 200, 4.0, 1e-4
+ROUNDS, RATE, DECAY = 800, 4.0, 1e-4
 CUT = 0.5
 
 
