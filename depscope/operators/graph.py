@@ -32,7 +32,9 @@ def reach(edges: DataFrame, seeds: list[str] | None = None, strategy: str = "sem
                 a, b = delta.alias("a"), known.alias("b")
                 both = a.join(b, F.col("a.dst") == F.col("b.src")).select(F.col("b.dst"), F.col("a.src"), (F.col("a.hops") + F.col("b.hops")).alias("hops"))
                 back = b.join(a, F.col("b.dst") == F.col("a.src")).select(F.col("a.dst"), F.col("b.src"), (F.col("a.hops") + F.col("b.hops")).alias("hops"))
-                both = both.unionByName(back)
+                # only shorter paths are new, so that cycles end
+                best = known.groupBy(F.col("dst").alias("d"), F.col("src").alias("s")).agg(F.min("hops").alias("best"))
+                both = both.unionByName(back).join(best, (F.col("dst") == F.col("d")) & (F.col("src") == F.col("s")), "left").where("best IS NULL OR hops < best")
             else:
                 both = delta.join(nexts, delta["dst"] == nexts["__mid"]).select(F.col("__to").alias("dst"), "src", (F.col("hops") + 1).alias("hops"))
             return both.groupBy("dst", "src").agg(F.min("hops").alias("hops"))

@@ -14,14 +14,19 @@ def fd_monitor(stream: DataFrame, lhs: list[str], rhs: str, ts: str, watermark:
     value = F.col(rhs)
     broken = (F.count(value) > 0) & ((F.min(value) != F.max(value)) | (F.count(value) < F.count(F.lit(1))))
     frame = F.window(ts, window, slide) if slide else F.window(ts, window)
-    return stream.withWatermark(ts, watermark).groupBy(frame, *lhs).agg(F.count("*").alias("n"), broken.alias("violated"))
+    return _timed(stream, ts).withWatermark(ts, watermark).groupBy(frame, *lhs).agg(F.count("*").alias("n"), broken.alias("violated"))
+
+
+def _timed(stream: DataFrame, ts: str) -> DataFrame:
+    """The stream with ts as a timestamp: watermarks need one with a zone."""
+    return stream.withColumn(ts, F.col(ts).cast("timestamp")) if dict(stream.dtypes)[ts] == "timestamp_ntz" else stream
 
 
 def session_monitor(stream: DataFrame, lhs: list[str], rhs: str, ts: str, watermark: str = "1 hour", gap: str = "30 minutes") -> DataFrame:
     """The same for sessions of a key, which end after a gap."""
     value = F.col(rhs)
     broken = (F.count(value) > 0) & ((F.min(value) != F.max(value)) | (F.count(value) < F.count(F.lit(1))))
-    return stream.withWatermark(ts, watermark).groupBy(F.session_window(ts, gap).alias("window"), *lhs).agg(F.count("*").alias("n"), broken.alias("violated"))
+    return _timed(stream, ts).withWatermark(ts, watermark).groupBy(F.session_window(ts, gap).alias("window"), *lhs).agg(F.count("*").alias("n"), broken.alias("violated"))
 
 
 def schema_feed(stream: DataFrame, apply: Callable[[list[dict]], None], checkpoint: str) -> StreamingQuery:
