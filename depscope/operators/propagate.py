@@ -99,6 +99,7 @@ class Propagation:
     def __init__(self, facts, options: Options = Options()):
         self.facts, self.o = facts, options
         self.rounds: list[list[int]] = []
+        self._start: DataFrame | None = None
         self._recursive = [r[0] for r in facts.catalog.recdefs]
         self.ops = facts.ops.where(~F.col("dst").isin(self._recursive)) if self._recursive else facts.ops
         self.in_scope = closure.scope(facts, options.closure_scope)
@@ -106,6 +107,11 @@ class Propagation:
 
     def start(self) -> DataFrame:
         """Declared FDs, and those of equalities, constants and calls."""
+        if self._start is None:
+            self._start = self._first()
+        return self._start
+
+    def _first(self) -> DataFrame:
         f = self.facts
         out = f.declared.unionByName(from_equalities(f.eqconds)).unionByName(from_constants(f.constconds))
         out = out.unionByName(from_calls(f.node_calls, self.o.assume_deterministic))
@@ -196,16 +202,16 @@ class Propagation:
 
     def climb(self, levels: list[list[str]], table: Growing, added: DataFrame) -> None:
         """Adds the facts of each level to table."""
-        from depscope.operators import recursion
+        from depscope.operators import recursion  # it reads this module's options only
 
         recs = {r[0]: r for r in self.facts.catalog.recdefs}
         for rels in levels:
             plain = [r for r in rels if r not in recs]
             if plain:
                 table.add(self._level_facts(plain, table.all(), added))
-            for rel in (r for r in rels if r in recs and self.o.recursion != "none"):
-                kept, _ = recursion.conclude(self, table.all(), recs[rel], self.o.recursion)
-                table.add(kept)
+            own = [recs[r] for r in rels if r in recs]
+            if own and self.o.recursion != "none":
+                table.add(recursion.conclude(self, table.all(), own, self.o.recursion)[0])
 
     def _climbed(self) -> DataFrame:
         added = self.start()
@@ -216,18 +222,14 @@ class Propagation:
         self.rounds.append([len(x) for x in levels])
         return table.all()
 
-    def pushed(self, facts_so_far: DataFrame, candidates: DataFrame, rec: tuple[str, str, str]) -> DataFrame:
-        """Facts and candidates of the relations in a recursion's step, level by level."""
-        from depscope.operators import recursion
-
-        inside = recursion.body(self.facts.catalog, rec)
+    def pushed(self, facts_so_far: DataFrame, candidates: DataFrame, inside: list[str], recursive: list[str]) -> DataFrame:
+        """Facts and candidates of the relations inside recursions' steps, level by level."""
+        start = facts_so_far.where(~F.col("rel").isin([*inside, *recursive])).unionByName(candidates)
         table = Growing(self.facts.spark, candidates.schema)
-        table.add(facts_so_far.where(~F.col("rel").isin([*inside, rec[0]])).unionByName(candidates))
-        added = self.start()
         for rels in self.levels():
             own = [r for r in rels if r in inside]
             if own:
-                table.add(self._level_facts(own, table.all(), added))
+                table.add(self._level_facts(own, start.unionByName(table.all()) if table.paths else start, self.start()))
         return table.all()
 
     def run(self) -> DataFrame:
@@ -238,7 +240,7 @@ class Propagation:
         found = self.settle(self.start())
         if self.o.recursion != "none":
             for rec in recursion.ordered(self.facts.catalog):
-                kept, _ = recursion.conclude(self, found, rec, self.o.recursion)
+                kept, _ = recursion.conclude(self, found, [rec], self.o.recursion)
                 found = self.settle(found.unionByName(kept)) if not kept.isEmpty() else found
         return _least(found)
 

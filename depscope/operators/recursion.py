@@ -5,7 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from depscope.sources.facts import Catalog
+from depscope.operators.fixpoint import Growing
+from depscope.sources.facts import Catalog, local
 
 
 class NonLinearRecursion(ValueError):
@@ -56,38 +57,42 @@ def body(catalog: Catalog, rec: tuple[str, str, str]) -> list[str]:
     return [x for x in below(catalog, rec[0]) if x in catalog.nodes and rec[0] in below(catalog, x) and x != rec[0]]
 
 
-def seed(fd: DataFrame, rec: tuple[str, str, str]) -> DataFrame:
-    """The base case's FDs as candidates of the recursive relation."""
-    return fd.where((F.col("rel") == rec[1]) & (F.col("status") == "fact")).select(F.lit(rec[0]).alias("rel"), "lhs", "rhs", "trace", "mids", F.lit("candidate").alias("status"), F.lit("seed").alias("rule"), "level")
+def _recdefs(propagation, recs: list[tuple[str, str, str]]) -> DataFrame:
+    return local(propagation.facts.spark, [tuple(r) for r in recs], "rec string, rec_base string, rec_step string")
 
 
-def push(propagation, facts_so_far: DataFrame, candidates: DataFrame, rec: tuple[str, str, str]) -> DataFrame:
-    """Candidates of the whole step: all rules over the step's operators, facts and candidates mixed."""
+def seed(fd: DataFrame, recdefs: DataFrame) -> DataFrame:
+    """The base cases' FDs as candidates of their recursive relations."""
+    found = fd.where("status = 'fact'").join(recdefs, fd["rel"] == recdefs["rec_base"])
+    return found.select(F.col("rec").alias("rel"), "lhs", "rhs", "trace", "mids", F.lit("candidate").alias("status"), F.lit("seed").alias("rule"), "level")
+
+
+def push(propagation, facts_so_far: DataFrame, candidates: DataFrame, recs: list[tuple[str, str, str]]) -> DataFrame:
+    """Candidates of the whole steps: all rules over the steps' operators, facts and candidates mixed."""
+    inside = sorted({x for rec in recs for x in body(propagation.facts.catalog, rec)})
     if propagation.o.strategy == "levels":
-        return propagation.pushed(facts_so_far, candidates, rec).where("status = 'candidate'")
-    ops = propagation.ops.where(F.col("dst").isin(body(propagation.facts.catalog, rec)))
-    return propagation.settle(facts_so_far.unionByName(candidates), ops).where("status = 'candidate'")
+        return propagation.pushed(facts_so_far, candidates, inside, [r[0] for r in recs]).where("status = 'candidate'")
+    return propagation.settle(facts_so_far.unionByName(candidates), propagation.ops.where(F.col("dst").isin(inside))).where("status = 'candidate'")
 
 
-def survivors(candidates: DataFrame, pushed: DataFrame, rec: tuple[str, str, str]) -> DataFrame:
-    """The candidates that the step gives back with the same columns and term."""
-    back = pushed.where(F.col("rel") == rec[2]).select(F.col("lhs").alias("l"), F.col("rhs").alias("r"), F.col("trace").alias("t")).distinct()
-    return candidates.join(back, (F.col("lhs") == F.col("l")) & (F.col("rhs") == F.col("r")) & (F.col("trace") == F.col("t")), "left_semi")
+def survivors(candidates: DataFrame, pushed: DataFrame, recdefs: DataFrame) -> DataFrame:
+    """The candidates that their steps give back with the same columns and term."""
+    back = pushed.join(recdefs, pushed["rel"] == recdefs["rec_step"]).select(F.col("rec").alias("of"), F.col("lhs").alias("l"), F.col("rhs").alias("r"), F.col("trace").alias("t")).distinct()
+    on = (F.col("rel") == F.col("of")) & (F.col("lhs") == F.col("l")) & (F.col("rhs") == F.col("r")) & (F.col("trace") == F.col("t"))
+    return candidates.join(back, on, "left_semi")
 
 
-def conclude(propagation, fd: DataFrame, rec: tuple[str, str, str], mode: str = "fixpoint") -> tuple[DataFrame, list[int]]:
-    """FDs of the recursive relation, and the number of candidates by outer round.
+def conclude(propagation, fd: DataFrame, recs: list[tuple[str, str, str]], mode: str = "fixpoint") -> tuple[DataFrame, list[int]]:
+    """FDs of recursive relations that don't read each other, and the number of candidates by outer round.
 
     'single_pass' accepts what one pass gives back. That can be wrong, as a candidate may lean on another that doesn't survive;
     'fixpoint' seeds again with the survivors until all survive, so that the last set proves itself.
     """
-    from depscope.operators.fixpoint import Growing
-
-    table = Growing(fd.sparkSession, fd.schema)
-    now = table.add(seed(fd, rec))
+    table, recdefs = Growing(fd.sparkSession, fd.schema), _recdefs(propagation, recs)
+    now = table.add(seed(fd, recdefs))
     sizes = [now.count()]
     while sizes[-1]:
-        left = table.add(survivors(now, push(propagation, fd, now, rec), rec))
+        left = table.add(survivors(now, push(propagation, fd, now, recs), recdefs))
         sizes.append(left.count())
         now = left
         if mode == "single_pass" or sizes[-1] == sizes[-2]:
