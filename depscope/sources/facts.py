@@ -95,6 +95,19 @@ class Catalog:
     view_calls: list[tuple[str, Call]] = field(default_factory=list)
     recdefs: list[tuple[str, str, str]] = field(default_factory=list)
 
+    def only_for(self, rels: list[str]) -> Catalog:
+        """The part that relations rest on, for questions about a few views of a large schema."""
+        kept, todo = set(), list(rels)
+        while todo:
+            rel = todo.pop()
+            if rel not in kept:
+                kept.add(rel)
+                todo += self.nodes[rel].inputs if rel in self.nodes else []
+        return Catalog(
+            {k: v for k, v in self.bases.items() if k in kept}, {k: v for k, v in self.nodes.items() if k in kept}, {k: v for k, v in self.views.items() if k in kept},
+            self.funcs, self.triggers, self.extra_edges, [x for x in self.view_calls if x[0] in kept], [x for x in self.recdefs if x[0] in kept],
+        )
+
     def arity(self, rel: str) -> int:
         return len(self.bases[rel].columns) if rel in self.bases else self.nodes[rel].arity
 
