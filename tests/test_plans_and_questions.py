@@ -8,9 +8,10 @@ import sys
 import pytest
 from pyspark.sql import functions as F
 
-from depscope.operators import graph, propagate, questions, rewrites, rules, validate
+from depscope.operators import baselines, graph, propagate, questions, rewrites, rules, validate
 from depscope.plans import rule_text
 from depscope.plans.registry import SchemaRegistry
+from depscope.sources import io
 from depscope.sources.facts import local
 from depscope.streaming import monitors
 from depscope.workloads import minimal
@@ -25,6 +26,8 @@ def registry(spark):
     r.add_table("nation", spark.read.parquet(f"{SMALL}/nation.parquet"), keys=[["n_nationkey"]], fds=[(["n_name"], "n_nationkey")])
     r.add_table("region", spark.read.parquet(f"{SMALL}/region.parquet"), keys=[["r_regionkey"]])
     r.add_table("orders", spark.read.parquet(f"{SMALL}/orders.parquet"), keys=[["o_orderkey"]])
+    for name, (sql, _) in CASES.items():
+        r.add_view(name, sql)
     return r
 
 
@@ -52,8 +55,6 @@ CASES = {
 
 
 def test_plans_give_the_fds_of_their_views(spark, registry):
-    for name, (sql, _) in CASES.items():
-        registry.add_view(name, sql)
     fd = minimal(propagate.run(registry.facts())).collect()
     cols = {v: [c for c, _ in columns] for v, columns in registry.catalog.views.items()}
     for name, (_, want) in CASES.items():
@@ -154,6 +155,25 @@ def test_stream_monitor_equals_batch(spark, tmp_path):
     assert key(spark.table("monitored")) == key(monitors.fd_monitor(events, ["user_id"], "event_type", "ts", "36500 days", "1 day"))
 
 
+def test_facts_round_trip_and_drawings(spark, registry, tmp_path):
+    edges = registry.facts().edges
+    key = lambda d: sorted(map(str, d.collect()))
+    for form in ("parquet", "json", "csv"):
+        io.write_facts(edges, str(tmp_path / form), form)
+        assert key(io.read_facts(spark, str(tmp_path / form), "edge", form)) == key(edges)
+    assert '"nation" -> "joined"' in io.to_dot(edges) and "| nation | reads | joined | + |" in io.to_markdown(edges)
+    registry.facts().write(str(tmp_path / "store"))
+    assert key(io.read_facts(spark, str(tmp_path / "store" / "attrs"), "attr")) == key(registry.facts().attrs)
+    loaded = io.load_tables(spark, SMALL, ["region"], {"region": [["r_regionkey"]]})
+    assert loaded.facts().declared.count() == 1
+
+
+def test_baselines(spark, registry):
+    df = spark.sql("SELECT n_regionkey, count(*) AS n FROM nation WHERE n_name = 'X' GROUP BY n_regionkey")
+    assert [r.key for r in baselines.catalyst_keys(df).collect()] == ["n_regionkey"]
+    assert baselines.catalyst_constants(df).count() >= 0
+
+
 def test_schema_feed_applies_changes_in_order(spark, tmp_path):
     folder = str(tmp_path / "feed")
     spark.createDataFrame([(2, "b"), (1, "a")], "seq int, view string").coalesce(1).write.parquet(folder)
