@@ -84,7 +84,7 @@ def luhn(digits: Column) -> Column:
     at = F.sequence(F.lit(1), F.length(digits))
 
     def value(i: Column) -> Column:
-        d = F.substring(digits, -i, F.lit(1)).cast("int")
+        d = F.substring(digits, -i, F.lit(1)).try_cast("int")
         twice = F.when(i % 2 == 0, d * 2).otherwise(d)
         return F.when(twice > 9, twice - 9).otherwise(twice)
 
@@ -92,7 +92,13 @@ def luhn(digits: Column) -> Column:
 
 
 def _parts_fit(ip: Column) -> Column:
-    return F.forall(F.split(ip, "\\."), lambda p: (F.length(F.ltrim(p, F.lit("0"))) <= 3) & (F.substring(F.ltrim(p, F.lit("0")), 1, 3).cast("int").isNull() | (F.substring(F.ltrim(p, F.lit("0")), 1, 3).cast("int") <= 255)))
+    """Whether every part is at most 255; compared as text, as a part may have any number of digits."""
+
+    def fits(part: Column) -> Column:
+        plain = F.ltrim(part, F.lit("0"))
+        return (F.length(plain) < 3) | ((F.length(plain) == 3) & (plain <= "255"))
+
+    return F.forall(F.split(ip, "\\."), fits)
 
 
 VALID = {

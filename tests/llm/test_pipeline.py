@@ -31,7 +31,7 @@ def test_stages_on_odd_inputs(spark, stage, make):
     docs = make(spark)
     got = stage(spark, docs, SMALL)
     assert got.columns[: len(docs.columns)] == docs.columns
-    assert got.count() <= 3 * docs.count() + 3
+    assert len(got.collect()) <= 3 * docs.count() + 3
 
 
 def test_all_ten_operators_are_registered():
