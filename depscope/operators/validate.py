@@ -10,6 +10,8 @@ from itertools import combinations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from depscope.sources.facts import local
+
 
 def _comparable(df: DataFrame, column: str) -> Column:
     """The column, as text where its type has no order (maps)."""
@@ -74,11 +76,20 @@ def discover(df: DataFrame, max_lhs: int = 2, columns: list[str] | None = None)
             open_ = [r for r in columns if r not in lhs and not any(set(k) <= set(lhs) and r == y for k, y in found)]
             if open_:
                 found += [(lhs, r["rhs"]) for r in check_fds(df, list(lhs), open_).collect() if not r["violating_groups"]]
-    from depscope.sources.facts import local
-
     return local(df.sparkSession, [(",".join(lhs), r) for lhs, r in sorted(found)], "lhs string, rhs string")
 
 
+def instance_only(df: DataFrame, reported: list[tuple[tuple[str, ...], str]], max_lhs: int = 2) -> DataFrame:
+    """lhs, rhs: minimal FDs of the data that don't follow from the reported ones; what a schema can't tell of its present rows."""
+    from depscope.operators import armstrong
+
+    at = {c: i for i, c in enumerate(df.columns)}
+    fds = [(frozenset(at[c] for c in lhs), at[r]) for lhs, r in reported]
+    rows = [(x["lhs"], x["rhs"]) for x in discover(df, max_lhs).collect()]
+    rows = [(lhs, rhs) for lhs, rhs in rows if not armstrong.implies_fd(fds, {at[c] for c in lhs.split(",") if c}, at[rhs])]
+    return local(df.sparkSession, rows, "lhs string, rhs string")
+
+
 def equal_columns(df: DataFrame, a: str, b: str) -> DataFrame:
     """different: rows in which two columns that should be equal differ."""
     return df.agg(F.sum(F.when(F.col(a).eqNullSafe(F.col(b)), 0).otherwise(1)).cast("long").alias("different"))

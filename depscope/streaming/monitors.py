@@ -29,6 +29,25 @@ def session_monitor(stream: DataFrame, lhs: list[str], rhs: str, ts: str, waterm
     return _timed(stream, ts).withWatermark(ts, watermark).groupBy(F.session_window(ts, gap).alias("window"), *lhs).agg(F.count("*").alias("n"), broken.alias("violated"))
 
 
+def caught_up(monitor: DataFrame, keys: list[str], folder: str) -> DataFrame:
+    """Runs a monitor over all that its stream holds now; the latest state of each key is returned.
+
+    Every micro-batch overwrites its own folder of changed keys, so a batch that is repeated after a failure counts once.
+    The same folder goes on where the last run ended.
+    """
+    spark, rows = monitor.sparkSession, f"{folder}/rows"
+
+    def batch(df: DataFrame, epoch: int) -> None:
+        df.write.mode("overwrite").parquet(f"{rows}/epoch={epoch}")
+
+    query = monitor.writeStream.outputMode("update").foreachBatch(batch).option("checkpointLocation", f"{folder}/checkpoint")
+    query.trigger(availableNow=True).start().awaitTermination()
+    found = spark.read.schema(monitor.schema.add("epoch", "long")).parquet(rows)
+    rest = [c for c in monitor.columns if c not in keys]
+    latest = found.groupBy(*keys).agg(F.max_by(F.struct(*rest), "epoch").alias("state"))
+    return latest.select(*keys, *(F.col(f"state.{c}").alias(c) for c in rest))
+
+
 def schema_feed(stream: DataFrame, apply: Callable[[list[dict]], None], checkpoint: str) -> StreamingQuery:
     """Runs apply on each micro-batch of schema changes, in order of their column ``seq``. A batch is a few changes, so it is gathered."""
 
