@@ -47,6 +47,11 @@ def text_or_empty(text: Column | str = "text") -> Column:
     return F.coalesce(F.col(text) if isinstance(text, str) else text, F.lit(""))
 
 
+def packed(docs: DataFrame, *more: Column) -> DataFrame:
+    """docs as one column __doc, and more beside it: no name of docs can clash with those of a step. ``select("__doc.*")`` unpacks it."""
+    return docs.select(F.struct(*docs.columns).alias("__doc"), *more)
+
+
 def words(text: Column) -> Column:
     """The words of a text as an array; empty for a text without words."""
     trimmed = F.btrim(text, F.lit(SPACE_CHARS))

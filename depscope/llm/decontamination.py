@@ -14,7 +14,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from depscope.llm.common import ascii_lower, table, text_or_empty, written
+from depscope.llm.common import ascii_lower, packed, table, text_or_empty, written
 
 WINDOW = 10
 #: n-grams a broadcast block has at most, about 200 bytes each.
@@ -92,8 +92,8 @@ def clean_documents(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """docs without the documents that hold a benchmark window."""
     bad = written(hits(docs, benchmark).select(F.col("doc_id").alias("__hit_id"), F.col("text_key").alias("__hit_key")).distinct(), "contaminated")
     bad = F.broadcast(bad) if bad.count() <= BROADCAST_KEYS else bad
-    rows = docs.withColumn("__key", F.xxhash64("text"))
-    return rows.join(bad, F.col("doc_id").eqNullSafe(F.col("__hit_id")) & (F.col("__key") == F.col("__hit_key")), "left_anti").select(*docs.columns)
+    rows = packed(docs, F.col("doc_id").alias("__id"), F.xxhash64("text").alias("__key"))
+    return rows.join(bad, F.col("__id").eqNullSafe(F.col("__hit_id")) & (F.col("__key") == F.col("__hit_key")), "left_anti").select("__doc.*")
 
 
 def without_spans(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
@@ -101,14 +101,14 @@ def without_spans(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     found = written(hits(docs, benchmark), "hits")
     places = found.select(F.col("doc_id").alias("__hit_id"), F.col("text_key").alias("__hit_key"), F.explode(F.sequence(F.col("pos"), F.col("pos") + F.col("len") - 1)).alias("p"))
     places = places.groupBy("__hit_id", "__hit_key").agg(F.collect_set("p").alias("__cut"))
-    rows = docs.withColumn("__key", F.xxhash64("text"))
-    rows = rows.join(places, F.col("doc_id").eqNullSafe(F.col("__hit_id")) & (F.col("__key") == F.col("__hit_key")), "left")
+    rows = packed(docs, F.col("doc_id").alias("__id"), F.xxhash64("text").alias("__key"), F.col("text").alias("__text"))
+    rows = rows.join(places, F.col("__id").eqNullSafe(F.col("__hit_id")) & (F.col("__key") == F.col("__hit_key")), "left")
     # between breaks the pieces alternate: piece 0 may be empty, and then words are counted from piece 1
-    rows = rows.withColumn("__pieces", F.split("text", RAW_BREAKS)).withColumn("__gaps", F.regexp_extract_all("text", F.lit(RAW_BREAKS), F.lit(0)))
+    rows = rows.withColumn("__pieces", F.split("__text", RAW_BREAKS)).withColumn("__gaps", F.regexp_extract_all("__text", F.lit(RAW_BREAKS), F.lit(0)))
     first = F.when(F.get("__pieces", F.lit(0)) == "", 0).otherwise(1)
     kept = F.transform("__pieces", lambda w, i: F.concat(F.when(F.array_contains("__cut", i + first), "").otherwise(w), F.coalesce(F.get("__gaps", i), F.lit(""))))
-    text = F.when(F.col("__cut").isNull(), F.col("text")).otherwise(F.array_join(kept, ""))
-    return rows.withColumn("text", text).select(*docs.columns)
+    text = F.when(F.col("__cut").isNull(), F.col("__text")).otherwise(F.array_join(kept, ""))
+    return rows.select(F.col("__doc").withField("text", text).alias("__doc")).select("__doc.*")
 
 
 def op8_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:

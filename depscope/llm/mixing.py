@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from depscope.llm.common import hash_key, table, text_or_empty, written
+from depscope.llm.common import hash_key, packed, table, text_or_empty, written
 
 WEIGHTS = (5, 2, 1)
 #: A source is taken this often at most.
@@ -112,9 +112,10 @@ def mixed_documents(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, epochs:
     at = written(cuts(docs, weights, epochs), "cuts")
     at = at.select(F.col("source").alias("__source"), F.col("whole").alias("__whole"), F.col("cut").alias("__cut"))
     at = F.broadcast(at) if at.count() <= BROADCAST_SOURCES else at
-    copies = F.col("__whole") + F.when(_document_key() <= F.col("__cut"), 1).otherwise(0)
-    rows = docs.join(at, F.col("source").eqNullSafe(F.col("__source"))).withColumn("__copies", copies).where("__copies > 0")
-    return rows.withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("__copies")))).select(*docs.columns)
+    copies = F.col("__whole") + F.when(F.col("__key") <= F.col("__cut"), 1).otherwise(0)
+    rows = packed(docs, F.col("source").alias("__own"), _document_key().alias("__key"))
+    rows = rows.join(at, F.col("__own").eqNullSafe(F.col("__source"))).withColumn("__copies", copies).where("__copies > 0")
+    return rows.withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("__copies")))).select("__doc.*")
 
 
 def op7_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from depscope.llm.common import table, written
+from depscope.llm.common import packed, table, written
 
 MAX_BITS, SHARED_BYTES, SHINGLE = 3, 5, 3
 #: Longest posting list that is paired directly, at three and at five shared bytes.
@@ -187,9 +187,9 @@ def near_duplicates(docs: DataFrame, long_list: int = LONG_LIST, swarm: int = SW
 def deduplicated(docs: DataFrame) -> DataFrame:
     """docs with one document of each near-duplicate component: the one with the smallest doc_id (ties: the smaller text hash, then any of the equal rows)."""
     keys = near_duplicates(docs).where("keep").select(F.col("doc_id").alias("keep_id"), F.col("text_key").alias("keep_key")).distinct()
-    rows = docs.withColumn("__id", F.col("doc_id").cast("long")).withColumn("__key", F.xxhash64("text"))
+    rows = packed(docs, F.col("doc_id").cast("long").alias("__id"), F.xxhash64("text").alias("__key"))
     rows = rows.join(keys, F.col("__id").eqNullSafe(F.col("keep_id")) & (F.col("__key") == F.col("keep_key")), "left_semi")
-    return rows.dropDuplicates(["__id", "__key"]).select(*docs.columns)
+    return rows.dropDuplicates(["__id", "__key"]).select("__doc.*")
 
 
 def hex16(fp: Column) -> Column:

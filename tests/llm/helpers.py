@@ -28,7 +28,7 @@ MESSY = [
     (10, " ".join(f"w{i}" for i in range(60)), "de", "s3", 200),
     (11, "Ünïcödé ÀÉÎ ß 😀 mail@example.org +49 30 901820 10.0.0.1", "de", "s4", 50),
 ]
-EXTRA = "n_words int, fp int, component_id int, size int, key int, words int, text_key int, keep int, base int, run int, tier int, shard int, arrival int, score int, quality int, hit_id int, h int, pos int, spans int, edits int"
+EXTRA = "n_words int, fp int, component_id int, size int, key int, words int, text_key int, keep int, base int, run int, tier int, shard int, arrival int, score int, quality int, hit_id int, keep_id int, keep_key int, __id int, __key int, __text int, __hit_id int, __hit_key int, __source int, __whole int, __cut int, __copies int, __copy int, __doc int, __own int, h int, pos int, spans int, edits int"
 
 
 def messy(spark, extra: bool = False):
