@@ -181,14 +181,14 @@ def vocabulary(spark: SparkSession, path: str = VOCABULARY) -> bytes:
         stream.close()
 
 
-_COUNTERS: dict[int, Counter] = {}
+_COUNTERS: dict[bytes, Counter] = {}
 
 
 def _counter(ranks: bytes) -> Counter:
     """One counter a worker process and vocabulary."""
-    if len(ranks) not in _COUNTERS:
-        _COUNTERS[len(ranks)] = Counter(ranks)
-    return _COUNTERS[len(ranks)]
+    if ranks not in _COUNTERS:
+        _COUNTERS[ranks] = Counter(ranks)
+    return _COUNTERS[ranks]
 
 
 STATE = "doc_id long, text string, leaves array<struct<chars:int,pieces:int,tokens:int>>"
