@@ -7,7 +7,8 @@ sensitive name it reaches and by its own form (length, entropy, kinds of charact
 ``THRESHOLD`` or above that no base span covers are added as spans of kind ``literal``.
 
 Defined results: a null or empty text has no spans; rows that repeat a doc_id each get their row; other columns are
-ignored; an empty table gives an empty result. Cost is linear in the text: name and blanks around an operator are bounded.
+ignored; an empty table gives an empty result. Cost is linear in the text: the lexer's patterns don't step back, and
+sensitivity passes along each use of a constant once. Names, literals and concatenations may have any length.
 """
 
 from __future__ import annotations
@@ -38,11 +39,9 @@ SENSITIVE = {"password": 3, "passwd": 3, "pwd": 3, "passphrase": 3, "secret": 3,
 PLACEHOLDER = re.compile(r"example|sample|change_?me|placeholder|your|dummy|test|xxxx|\*\*\*|<|>|\$\{|\{\{", re.IGNORECASE)
 THRESHOLD = 5.0
 
-PAIR = re.compile(r"""(?<![A-Za-z0-9_.-])["']?([A-Za-z_][A-Za-z0-9_.-]{0,127})["']?[ \t]{0,16}(?::=|=>|=|:)[ \t]{0,16}(?=["'A-Za-z0-9])""")
-TERM = re.compile(r""""([^"\n\\]{0,4096})"|'([^'\n\\]{0,4096})'|([A-Za-z0-9][A-Za-z0-9+/_.=-]*)""")
-PLUS = re.compile(r"[ \t]{0,16}\+[ \t]{0,16}(?=[\"'A-Za-z0-9])")
-#: Terms read of one concatenation at most; the rest are literals without a name.
-TERMS = 64
+PAIR = re.compile(r"""(?<![A-Za-z0-9_.-])["']?([A-Za-z_][A-Za-z0-9_.-]*+)["']?[ \t]*+(?::=|=>|=|:)[ \t]*+(?=["'A-Za-z0-9])""")
+TERM = re.compile(r""""([^"\n\\]*+)"|'([^'\n\\]*+)'|([A-Za-z0-9][A-Za-z0-9+/_.=-]*+)""")
+PLUS = re.compile(r"[ \t]*+\+[ \t]*+(?=[\"'A-Za-z0-9])")
 
 
 def sensitivity(name: str) -> int:
@@ -65,42 +64,55 @@ def score(weight: int, literal: str, quoted: bool) -> float:
 
 
 def assignments(text: str) -> list[tuple[str, list[tuple[int, int, bool]]]]:
-    """(name, terms) in reading order; a term is (start, end, quoted) of a literal or of a bare word."""
+    """(name, terms), constants before their uses; a term is (start, end, quoted) of a literal or of a bare word.
+
+    In a chain (``a = b = "x"``) the last name has the terms, and each name before it has the next name as its term.
+    """
     found, at = [], 0
     while m := PAIR.search(text, at):
+        names = [m.span(1)]
+        while inner := PAIR.match(text, m.end()):
+            names.append(inner.span(1))
+            m = inner
         terms: list[tuple[int, int, bool]] = []
         at = m.end()
-        while len(terms) < TERMS and (t := TERM.match(text, at)):
+        while t := TERM.match(text, at):
             group = next(g for g in (1, 2, 3) if t.group(g) is not None)
             terms.append((*t.span(group), group < 3))
             at = t.end()
             if not (p := PLUS.match(text, at)):
                 break
             at = p.end()
-        if terms:
-            found.append((m.group(1), terms))
-            if not terms[-1][2]:
-                at = terms[-1][0]  # a bare word may itself be the name of the next pair
+        for start, end in reversed(names):
+            if terms:
+                found.append((text[start:end], terms))
+            terms = [(start, end, False)]
     return found
 
 
 def literal_spans(text: str) -> list[tuple[int, int, float]]:
     """(start, end, score) of literals that reach a sensitive name, directly or through constants."""
-    constants: dict[str, list[tuple[int, int, bool]]] = {}
+    pairs = assignments(text)
+    own: list[list[tuple[int, int, bool]]] = []
+    carried: list[list[int]] = []
+    latest: dict[str, int] = {}
+    for i, (name, terms) in enumerate(pairs):
+        # a bare word that names a constant stands for what the constant's latest assignment holds
+        used = [None if quoted else latest.get(text[start:end]) for start, end, quoted in terms]
+        own.append([t for t, j in zip(terms, used, strict=True) if j is None])
+        carried.append([j for j in used if j is not None])
+        latest[name] = i
+    # constants come before their uses, so one pass from the last assignment back hands every sensitivity down
+    weights = [sensitivity(name) for name, _ in pairs]
+    for i in range(len(pairs) - 1, -1, -1):
+        for j in carried[i]:
+            weights[j] = max(weights[j], weights[i])
     best: dict[tuple[int, int], float] = {}
-    for name, terms in assignments(text):
-        literals: list[tuple[int, int, bool]] = []
-        for start, end, quoted in terms:
-            word = text[start:end]
-            # a bare word that names a constant stands for the constant's literals
-            literals += constants.get(word, [(start, end, False)]) if not quoted else [(start, end, True)]
-        literals = literals[:TERMS]
-        constants[name] = literals
-        if weight := sensitivity(name):
-            for start, end, quoted in literals:
-                value = score(weight, text[start:end], quoted)
-                if value >= THRESHOLD:
-                    best[start, end] = max(value, best.get((start, end), 0.0))
+    for weight, literals in zip(weights, own, strict=True):
+        for start, end, quoted in literals if weight else ():
+            value = score(weight, text[start:end], quoted)
+            if value >= THRESHOLD:
+                best[start, end] = max(value, best.get((start, end), 0.0))
     return [(*k, v) for k, v in sorted(best.items())]
 
 

@@ -5,6 +5,7 @@ from __future__ import annotations
 import hashlib
 import random
 import re
+import time
 
 import pytest
 from pyspark.sql import functions as F
@@ -217,6 +218,35 @@ def test_store_keeps_every_row_and_every_version(spark):
     assert got.select("run", "shard").distinct().count() <= 1 + sum(r.size for r in store.runs()) // 100_000 + len(store.runs())
 
 
+def test_versions_stay_readable_until_vacuum(spark):
+    df = spark.createDataFrame([(i, f"text {i}") for i in range(80)], "id long, text string").repartition(2)
+    store = sharding.Store(spark, scratch_path(spark, "vacuum"))
+    for part in range(4):
+        store.append(df.where(F.col("id") % 4 == part), F.lit(f"p{part}"), F.octet_length("text").cast("long"))
+    latest = store.compact(df.schema)
+    assert store.read(df.schema, 2).count() == 40 and store.read(df.schema, 4).count() == 80 and len(store.runs()) == 1
+    store.vacuum(keep=2)
+    assert store.versions() == [latest - 1, latest] and store.read(df.schema, latest - 1).count() == 80
+    store.vacuum()
+    assert store.versions() == [latest] and store.read(df.schema).count() == 80
+    with pytest.raises(RuntimeError):
+        store.commit([], 2)
+
+
+def test_a_lost_writer_is_cleared(spark):
+    df = spark.createDataFrame([(i, f"text {i}") for i in range(20)], "id long, text string")
+    store = sharding.Store(spark, scratch_path(spark, "lost"))
+    store.append(df, F.lit("a"), F.lit(1))
+    store._fs.createNewFile(store._hadoop(f"{store.path}/manifests/{2:08d}.claim"))
+    store._fs.createNewFile(store._hadoop(f"{store.path}/manifests/{2:08d}.x.draft"))
+    df.write.parquet(f"{store.path}/runs/orphan")
+    with pytest.raises(RuntimeError):
+        store.append(df, F.lit("b"), F.lit(1))
+    store.recover()
+    assert set(store._names("runs")) == {r.path.split("/")[-2] for r in store.runs()} and store.versions() == [1]
+    assert store.append(df, F.lit("b"), F.lit(1)) == 2 and store.read(df.schema).count() == 40
+
+
 def test_two_writers_of_one_version_conflict(spark):
     store = sharding.Store(spark, scratch_path(spark, "conflict"))
     store.commit([], 0)
@@ -428,6 +458,28 @@ def test_constants_flow_to_sensitive_names():
     assert found == ["Zx81!pQ99vTr4LmN", "C3d4E5f6G7h8"]
 
 
+def test_lexer_has_no_length_limits():
+    secret = "Zx81!pQ99vTr4LmN"
+    many = "client_credential = " + " + ".join(f'"A{i}b2C3d4E5f6"' for i in range(500))
+    assert len(secrets.literal_spans(many)) == 500
+    chain = f'n0 = "{secret}"\n' + "".join(f"n{i} = n{i - 1} + n{i - 1}\n" for i in range(1, 3000)) + "passphrase = n2999"
+    assert [chain[s:e] for s, e, _ in secrets.literal_spans(chain)] == [secret]
+    long_name = "a" * 5000 + "_passphrase" + " " * 300 + "=" + " " * 300 + '"' + secret * 400 + '"'
+    assert [e - s for s, e, _ in secrets.literal_spans(long_name)] == [400 * len(secret)]
+    chained = f'passphrase = a = b="{secret}"\nc=d=my_pwd={secret}'
+    assert [chained[s:e] for s, e, _ in secrets.literal_spans(chained)] == [secret, secret]
+    # a name bound anew holds its latest literal
+    rebound = f'k = "plain words"\nk = "{secret}"\nmy_pwd = k\nk = "Aa11Bb22Cc33Dd44"'
+    assert [rebound[s:e] for s, e, _ in secrets.literal_spans(rebound)] == [secret]
+
+
+@pytest.mark.parametrize("text", ["a" * 400_000, "a " * 200_000, 'a="' * 100_000, "a='b=\"" * 60_000, "a=b+" * 90_000, "a" + " " * 400_000 + "b", "x=" * 150_000, "token" * 80_000, "my_pwd=Zx81+" * 30_000, "my_pwd='Zx81!pQ99vTr4'+" * 20_000])
+def test_lexer_is_linear(text):
+    began = time.perf_counter()
+    secrets.literal_spans(text)
+    assert time.perf_counter() - began < 10
+
+
 def test_secrets_odd_inputs(odd):
     assert len(secrets.scanned(odd).collect()) == odd.count()
 
