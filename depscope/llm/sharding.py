@@ -6,7 +6,7 @@ tier below); a tier with ``FANOUT`` runs or more is merged into one run of shard
 tiers are looked at again until none is full. A merge reads and writes each row once and shuffles nothing: tasks take
 whole small shards together. A manifest is written beside and moved to its number, which is claimed first, so a
 reader sees one version or the next, and of two writers one fails. A run becomes visible by a manifest only; what a lost driver or
-executor leaves behind is never read.
+executor leaves behind is never read, and ``recover`` clears it. Merged runs stay until ``vacuum``, so that readers of earlier versions go on.
 
 Defined results: null texts count 0 bytes; an empty table makes a version without runs; rows that repeat stay as often as
 they came; all columns are kept as they are, and an added column whose name is taken gets underscores behind it; an arrival may be of any size.
@@ -68,11 +68,7 @@ class Store:
         return self.spark._jvm.org.apache.hadoop.fs.Path(path)
 
     def versions(self) -> list[int]:
-        folder = self._hadoop(f"{self.path}/manifests")
-        if not self._fs.exists(folder):
-            return []
-        names = [s.getPath().getName() for s in self._fs.listStatus(folder)]
-        return sorted(int(n[:-5]) for n in names if n.endswith(".json"))
+        return sorted(int(n[:-5]) for n in self._names("manifests") if n.endswith(".json"))
 
     def runs(self, version: int | None = None) -> list[Run]:
         """The runs of a version, the latest by default."""
@@ -132,10 +128,34 @@ class Store:
             rows.coalesce(max(1, math.ceil(size / self.target_bytes))).write.parquet(run.path)
             gone = {r.path for r in merged}
             self.commit([r for r in self.runs() if r.path not in gone] + [run], before)
-            for path in gone:
-                self._fs.delete(self._hadoop(path), True)
         return self._latest()
 
+    def vacuum(self, keep: int = 1) -> None:
+        """Drops all but the latest keep versions, then the runs that only those name. Claims stay: a number is never given twice."""
+        known = self.versions()
+        old = known[: max(len(known) - keep, 0)]
+        live = {r.path for v in known[len(old) :] for r in self.runs(v)}
+        gone = {r.path for v in old for r in self.runs(v)} - live
+        for v in old:
+            self._fs.delete(self._hadoop(f"{self.path}/manifests/{v:08d}.json"), False)
+        for path in gone:
+            self._fs.delete(self._hadoop(path), True)
+
+    def recover(self) -> None:
+        """Clears what lost writers left: drafts, claims above the latest version, and run folders that no version names. Only while nothing writes."""
+        latest = self._latest()
+        for name in self._names("manifests"):
+            if name.endswith(".draft") or (name.endswith(".claim") and int(name[:-6]) > latest):
+                self._fs.delete(self._hadoop(f"{self.path}/manifests/{name}"), False)
+        start = len(f"{self.path}/runs/")
+        live = {r.path[start:].split("/")[0] for v in self.versions() for r in self.runs(v)}
+        for name in set(self._names("runs")) - live:
+            self._fs.delete(self._hadoop(f"{self.path}/runs/{name}"), True)
+
+    def _names(self, part: str) -> list[str]:
+        folder = self._hadoop(f"{self.path}/{part}")
+        return [s.getPath().getName() for s in self._fs.listStatus(folder)] if self._fs.exists(folder) else []
+
     def read(self, schema, version: int | None = None) -> DataFrame:
         """The rows of a version with their run, tier and shard. A store has few runs: under FANOUT for each tier."""
         names = [free_name(n, schema.names) for n in ("run", "tier", "shard")]
@@ -172,6 +192,7 @@ def sharded(docs: DataFrame, path: str | None = None, target_bytes: int = TARGET
     schema = docs.schema
     store.append(docs, arrival_of(F.col("doc_id")), text_bytes())
     store.compact(schema)
+    store.vacuum()
     return store.read(schema)
 
 
