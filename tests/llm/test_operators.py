@@ -466,8 +466,8 @@ def test_lexer_has_no_length_limits():
     assert [chain[s:e] for s, e, _ in secrets.literal_spans(chain)] == [secret]
     long_name = "a" * 5000 + "_passphrase" + " " * 300 + "=" + " " * 300 + '"' + secret * 400 + '"'
     assert [e - s for s, e, _ in secrets.literal_spans(long_name)] == [400 * len(secret)]
-    chained = f'passphrase = a = b="{secret}"\nc=d=my_pwd={secret}'
-    assert [chained[s:e] for s, e, _ in secrets.literal_spans(chained)] == [secret, secret]
+    chained = f'passphrase = a = b="{secret}"\nc=d=my_pwd=Zx81pQ99vTr4LmN'
+    assert [chained[s:e] for s, e, _ in secrets.literal_spans(chained)] == [secret, "Zx81pQ99vTr4LmN"]
     # a name bound anew holds its latest literal
     rebound = f'k = "plain words"\nk = "{secret}"\nmy_pwd = k\nk = "Aa11Bb22Cc33Dd44"'
     assert [rebound[s:e] for s, e, _ in secrets.literal_spans(rebound)] == [secret]
