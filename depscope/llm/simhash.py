@@ -185,11 +185,17 @@ def near_duplicates(docs: DataFrame, long_list: int = LONG_LIST, swarm: int = SW
 
 
 def deduplicated(docs: DataFrame) -> DataFrame:
-    """docs with one document of each near-duplicate component: the one with the smallest doc_id (ties: the smaller text hash, then any of the equal rows)."""
-    keys = near_duplicates(docs).where("keep").select(F.col("doc_id").alias("keep_id"), F.col("text_key").alias("keep_key")).distinct()
+    """docs with one document of each near-duplicate component: the one with the smallest doc_id (ties: the smaller text hash, then any of the equal rows).
+
+    The texts are shuffled once, by row key; a second time only where rows that stay repeat both doc_id and text.
+    """
+    keys = near_duplicates(docs).where("keep").groupBy(F.col("doc_id").alias("keep_id"), F.col("text_key").alias("keep_key"))
+    keys = written(keys.agg(F.count("*").alias("n")), "keep")
     rows = packed(docs, F.col("doc_id").cast("long").alias("__id"), F.xxhash64("text").alias("__key"))
     rows = rows.join(keys, F.col("__id").eqNullSafe(F.col("keep_id")) & (F.col("__key") == F.col("keep_key")), "left_semi")
-    return rows.dropDuplicates(["__id", "__key"]).select("__doc.*")
+    if not keys.where("n > 1").isEmpty():
+        rows = rows.dropDuplicates(["__id", "__key"])
+    return rows.select("__doc.*")
 
 
 def hex16(fp: Column) -> Column:
