@@ -21,6 +21,11 @@ def term_sizes(fd: DataFrame) -> DataFrame:
     return fd.groupBy("rel").agg(F.count("*").alias("n_facts"), F.max(F.size("trace")).alias("longest"), F.round(F.avg(F.size("trace")), 3).alias("mean_length"))
 
 
+def round_sizes(reached: DataFrame) -> DataFrame:
+    """hops, n_pairs: the new pairs of each round of a semi-naive closure; the number of rows is the number of rounds that found any."""
+    return reached.groupBy("hops").agg(F.count("*").alias("n_pairs"))
+
+
 def soundness(views: dict[str, DataFrame], fds: list[tuple[str, tuple[str, ...], str]]) -> DataFrame:
     """rel, lhs, rhs, violating_groups of reported FDs that the data violate; none for a sound propagation."""
     return validate.check_many(views, fds).where("violating_groups > 0")

@@ -8,7 +8,7 @@ import pytest
 from depscope import workloads
 
 SMALL = "/root/testdata/sf0.001"
-NAMES = ["attr_reuse", "view_facts", "dep_direct", "tables_linked_by_function", "fd_spj_selection", "fd_union_by_trace", "fd_recursion_ancestor", "fd_recursion_candidates", "fd_star_chain", "fd_function_columns", "candidate_keys", "rewrite_group_keys", "fd_monitor_stream", "fd_twin_columns", "fd_union_of_three", "fd_instance_only"]
+NAMES = ["attr_reuse", "view_facts", "dep_direct", "dep_round_sizes", "tables_linked_by_function", "fd_spj_selection", "fd_union_by_trace", "fd_recursion_ancestor", "fd_recursion_candidates", "fd_star_chain", "fd_function_columns", "candidate_keys", "rewrite_group_keys", "fd_monitor_stream", "fd_twin_columns", "fd_union_of_three", "fd_instance_only"]
 
 
 @pytest.fixture(scope="module")
