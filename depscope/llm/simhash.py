@@ -19,7 +19,7 @@ columns other than doc_id and text are ignored; an empty table gives an empty re
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from itertools import combinations, repeat
 
 import pyarrow as pa
@@ -175,8 +175,12 @@ def near_duplicates(docs: DataFrame, long_list: int = LONG_LIST, swarm: int = SW
     fps = written(fingerprints(docs), "fingerprints")
     least = F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "text_key"))
     heads = fps.groupBy("fp").agg(least.alias("head"))
-    roots = components(links(heads.select("fp"), long_list, swarm)).withColumnRenamed("node", "fp")
-    rooted = heads.join(roots, "fp", "left").select("fp", F.coalesce("root", "fp").alias("root"), "head")
+    return labelled(fps, heads, components(links(heads.select("fp"), long_list, swarm)))
+
+
+def labelled(fps: DataFrame, heads: DataFrame, roots: DataFrame) -> DataFrame:
+    """fps with component_id and keep, from the heads (fp, head) of equal fingerprints and the components (node, root) among these."""
+    rooted = heads.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", F.coalesce("root", "fp").alias("root"), "head")
     # of each component the least head; a component's fingerprints join it by its root
     best = rooted.groupBy("root").agg(F.min("head").alias("best"))
     labels = rooted.join(best, "root").select("fp", F.col("best.doc_id").alias("component_id"), F.col("best.text_key").alias("best_key"))
@@ -184,12 +188,12 @@ def near_duplicates(docs: DataFrame, long_list: int = LONG_LIST, swarm: int = SW
     return fps.join(labels, "fp").select("doc_id", "text_key", "fp", "component_id", same.alias("keep"))
 
 
-def deduplicated(docs: DataFrame) -> DataFrame:
-    """docs with one document of each near-duplicate component: the one with the smallest doc_id (ties: the smaller text hash, then any of the equal rows).
+def deduplicated(docs: DataFrame, rule: Callable[[DataFrame], DataFrame] = near_duplicates) -> DataFrame:
+    """docs with one document of each component that the rule finds: the one with the smallest doc_id (ties: the smaller text hash, then any of the equal rows).
 
     The texts are shuffled once, by row key; a second time only where rows that stay repeat both doc_id and text.
     """
-    keys = near_duplicates(docs).where("keep").groupBy(F.col("doc_id").alias("keep_id"), F.col("text_key").alias("keep_key"))
+    keys = rule(docs).where("keep").groupBy(F.col("doc_id").alias("keep_id"), F.col("text_key").alias("keep_key"))
     keys = written(keys.agg(F.count("*").alias("n")), "keep")
     rows = packed(docs, F.col("doc_id").cast("long").alias("__id"), F.xxhash64("text").alias("__key"))
     rows = rows.join(keys, F.col("__id").eqNullSafe(F.col("keep_id")) & (F.col("__key") == F.col("keep_key")), "left_semi")
