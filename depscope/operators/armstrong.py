@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 from collections.abc import Iterable
-from itertools import combinations
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -46,19 +45,29 @@ def cover(fds: Iterable[Fd]) -> list[Fd]:
     return sorted(slim, key=lambda f: (sorted(f[0]), f[1]))
 
 
-def keys_of(fds: Iterable[Fd], arity: int, most: int = 4) -> list[frozenset]:
-    """Minimal attribute sets, of at most ``most`` attributes beyond those that nothing determines, that determine all."""
-    fds, every = list(fds), frozenset(range(1, arity + 1))
-    core = every - {r for _, r in fds}
-    found: list[frozenset] = []
-    for n in range(most + 1):
-        for extra in combinations(sorted(every - core), n):
-            key = core | set(extra)
-            if not any(k <= key for k in found) and closure_of(fds, key) == every:
-                found.append(key)
-        if found and n == 0:
-            break
-    return found
+def keys_of(fds: Iterable[Fd], arity: int, most: int = 100_000) -> list[frozenset]:
+    """All minimal attribute sets that determine all, smallest first; ValueError if there are more than ``most``.
+
+    One superkey is shrunk to a key. Then each FD whose right side a key holds gives a superkey, the key with the left side
+    in its place, and that holds a key of its own unless one is known. Once no key gives a new one, all are found.
+    """
+    every = frozenset(range(1, arity + 1))
+    fds = [(lhs, r) for lhs, r in dict.fromkeys(fds) if r not in lhs and lhs <= every]
+
+    def shrunk(superkey: frozenset) -> frozenset:
+        for a in sorted(superkey, reverse=True):
+            if closure_of(fds, superkey - {a}) >= every:
+                superkey = superkey - {a}
+        return superkey
+
+    found = [shrunk(every)]
+    for key in found:
+        for lhs, rhs in fds:
+            if rhs in key and not any(k <= (key - {rhs}) | lhs for k in found):
+                found.append(shrunk((key - {rhs}) | lhs))
+                if len(found) > most:
+                    raise ValueError(f"more than {most} candidate keys")
+    return sorted(found, key=lambda k: (len(k), sorted(k)))
 
 
 def compose(fd: DataFrame) -> DataFrame:
@@ -99,8 +108,8 @@ def minimal_cover(fd: DataFrame) -> DataFrame:
     return fd.select("rel", "lhs", "rhs").distinct().groupBy("rel").applyInArrow(one, "rel string, lhs array<int>, rhs int")
 
 
-def candidate_keys(fd: DataFrame, attrs: DataFrame, most: int = 4) -> DataFrame:
-    """rel, key: minimal determining sets of each relation in attrs (rel, pos). They determine every column; a bag may still repeat rows."""
+def candidate_keys(fd: DataFrame, attrs: DataFrame, most: int = 100_000) -> DataFrame:
+    """rel, key: all minimal determining sets of each relation in attrs (rel, pos); an error if one has more than ``most``. They determine every column; a bag may still repeat rows."""
 
     def one(known: pa.Table, own: pa.Table) -> pa.Table:
         if not own.num_rows:
