@@ -1,7 +1,7 @@
 """Trace terms as columns: prefix-notation token arrays.
 
-Tokens: ``F:<id>/<n>`` a base FD with n sources, ``#<pos>`` a column, ``K:<type>:<value>`` a constant, ``C:<fn>/<n>`` a call,
-``A:<fn>@<relation>/<n>`` an aggregate, ``D:<n>`` a value chosen by a discriminating column. A token's arity is the number
+Tokens: ``F:<id>/<n>`` a base FD with n sources, ``#<pos>`` a column, ``K:<type>:<value>`` a constant, ``N:<type>`` NULL, ``C:<fn>/<n>`` a call,
+``A:<fn>@<relation>/<n>`` an aggregate, whose value belongs to that relation, ``D:<n>`` a value chosen by a discriminating column. A token's arity is the number
 after its last slash; columns and constants have none.
 """
 
@@ -19,7 +19,11 @@ def column(pos: Column) -> Column:
 
 
 def constant(value: Column, kind: Column) -> Column:
-    return F.concat(F.lit("K:"), kind, F.lit(":"), F.coalesce(value, F.lit("<null>")))
+    return F.when(value.isNull(), F.concat(F.lit("N:"), kind)).otherwise(F.concat(F.lit("K:"), kind, F.lit(":"), value))
+
+
+def is_constant(token: Column) -> Column:
+    return token.startswith("K:") | token.startswith("N:")
 
 
 def rename(trace: Column, m: Column) -> Column:
@@ -83,6 +87,8 @@ def evaluate(tokens: list[str], row: dict[int, object], functions: dict[str, Cal
             return row[int(token[1:])]
         if token.startswith("K:"):
             return token.split(":", 2)[2]
+        if token.startswith("N:"):
+            return None
         return functions[token](*map(value, t[1:]))
 
     return value(parse(tokens))

@@ -44,6 +44,25 @@ def recall(reported: list[tuple[tuple[str, ...], str]], discovered: list[tuple[t
     return out
 
 
+def _stages(spark) -> dict[int, tuple[int, int, int]]:
+    """Tasks, bytes read and bytes shuffled of each completed stage of the application."""
+    sc, jvm = spark.sparkContext._jsc.sc(), spark._jvm
+    sc.listenerBus().waitUntilEmpty()
+    none = spark.sparkContext._gateway.new_array(jvm.double, 0)
+    found = sc.statusStore().stageList(jvm.java.util.ArrayList(), False, False, none, jvm.java.util.ArrayList())
+    stages = (found.apply(i) for i in range(found.size()))
+    return {s.stageId(): (s.numCompleteTasks(), s.inputBytes(), s.shuffleWriteBytes()) for s in stages}
+
+
+def cost(spark, run) -> dict[str, float]:
+    """What a call costs: seconds, stages, tasks, bytes read from tables and bytes shuffled. Classic sessions only; run nothing beside it."""
+    before, began = _stages(spark), time.perf_counter()
+    run()
+    seconds = time.perf_counter() - began
+    new = [v for k, v in _stages(spark).items() if k not in before]
+    return {"seconds": seconds, "stages": len(new), "tasks": sum(v[0] for v in new), "input_bytes": sum(v[1] for v in new), "shuffle_bytes": sum(v[2] for v in new)}
+
+
 @contextmanager
 def timed(into: dict, name: str):
     began = time.perf_counter()

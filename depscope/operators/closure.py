@@ -15,7 +15,7 @@ from depscope.operators.fixpoint import seminaive
 KEY = ["rel", "lhs", "rhs", "trace", "mids", "status"]
 COLUMNS = ["rel", "lhs", "rhs", "trace", "mids", "status", "rule", "level"]
 NO_INTS = "array<int>"
-#: Facts of one relation at which its closure stops with an error.
+#: Facts of one relation at which its closure in one task stops with an error that names strategy 'joint', which has no such limit.
 MAX_FACTS = 200_000
 
 
@@ -77,13 +77,13 @@ def close_rows(rows: list[dict], prune: bool = True, keep_traces: bool = True, t
     by_term: dict[tuple, list[dict]] = defaultdict(list)
     queue: list[dict] = []
 
-    def add(lhs: tuple, rhs: int, trace: tuple, mids: tuple, status: str, rule: str, level: int) -> None:
+    def add(lhs: tuple, rhs: int, trace: tuple, mids: tuple, status: str, rule: str, level: int, why: tuple = ()) -> None:
         key = (lhs, rhs, trace, mids, status)
         if key in known or rhs in lhs or (max_lhs is not None and len(lhs) > max_lhs):
             return
-        known[key] = row = {"rel": rel, "lhs": lhs, "rhs": rhs, "trace": trace, "mids": mids, "status": status, "rule": rule, "level": level}
+        known[key] = row = {"rel": rel, "lhs": lhs, "rhs": rhs, "trace": trace, "mids": mids, "status": status, "rule": rule, "level": level, "why": why}
         if len(known) > MAX_FACTS:
-            raise TooManyFacts(f"{rel} has more than {MAX_FACTS} FD facts; give max_lhs or declare fewer")
+            raise TooManyFacts(f"{rel} has more than {MAX_FACTS} FD facts; use strategy='joint', which shuffles them, or give max_lhs")
         queue.append(row)
 
     def composed(a: dict, g: dict) -> None:
@@ -96,11 +96,11 @@ def close_rows(rows: list[dict], prune: bool = True, keep_traces: bool = True, t
             return
         token = f"#{b}"
         trace = tuple(x for t in g["trace"] for x in (a["trace"] if t == token else (t,))) if keep_traces else ()
-        add(lhs, d, trace, mids if prune else (), min(a["status"], g["status"]), "transitive", max(a["level"], g["level"]) + 1)
+        add(lhs, d, trace, mids if prune else (), min(a["status"], g["status"]), "transitive", max(a["level"], g["level"]) + 1, (a, g))
 
     rel = rows[0]["rel"] if rows else ""
     for r in rows:
-        add(tuple(r["lhs"]), r["rhs"], tuple(r["trace"]), tuple(r["mids"]), r["status"], r["rule"], r["level"])
+        add(tuple(r["lhs"]), r["rhs"], tuple(r["trace"]), tuple(r["mids"]), r["status"], r["rule"], r["level"], r.get("why", ()))
     at = 0
     while at < len(queue):
         new = queue[at]
@@ -118,7 +118,7 @@ def close_rows(rows: list[dict], prune: bool = True, keep_traces: bool = True, t
             for other in same:
                 if other["rhs"] != new["rhs"]:
                     for x, y in ((other["rhs"], new["rhs"]), (new["rhs"], other["rhs"])):
-                        add((x,), y, (f"#{x}",), (), min(other["status"], new["status"]), "twins", max(other["level"], new["level"]) + 1)
+                        add((x,), y, (f"#{x}",), (), min(other["status"], new["status"]), "twins", max(other["level"], new["level"]) + 1, (other, new))
             same.append(new)
     return list(known.values())
 
@@ -137,13 +137,13 @@ def close_grouped(fd: DataFrame, prune: bool = True, keep_traces: bool = True, t
 def scope(facts, which: str = "paper") -> DataFrame:
     """rel: relations in which new transitive FDs can appear: base, join, with an equality, with a constant; 'all' adds intersections and calls."""
     rels = facts.base_rels.select(F.col("name").alias("rel")).union(facts.ops.where("operator = 'join'").select("dst"))
-    rels = rels.union(facts.eqconds.select("rel")).union(facts.constconds.select("rel"))
+    rels = rels.union(facts.eqconds.select("rel")).union(facts.constconds.select("rel")).union(facts.closing)
     if which == "all":
         rels = rels.union(facts.ops.where("operator IN ('intersection', 'product', 'union', 'recursion')").select("dst")).union(facts.node_calls.select("rel"))
     return rels.distinct()
 
 
-def close(fd: DataFrame, scope_rels: DataFrame | None = None, prune: bool = True, keep_traces: bool = True, twins: bool = True, max_rounds: int = 100, max_lhs: int | None = None) -> tuple[DataFrame, list[int]]:
+def close(fd: DataFrame, scope_rels: DataFrame | None = None, prune: bool = True, keep_traces: bool = True, twins: bool = True, max_rounds: int | None = None, max_lhs: int | None = None) -> tuple[DataFrame, list[int]]:
     """The closure of fd alone, and new facts by round. Facts of relations outside scope_rels stay as they are."""
     inside = fd if scope_rels is None else fd.join(scope_rels.distinct(), "rel", "left_semi")
     found, sizes = seminaive(inside, lambda d, k: step(d, k, prune, keep_traces, twins, max_lhs), KEY, max_rounds)

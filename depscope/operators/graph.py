@@ -13,11 +13,11 @@ def direct_edges(facts) -> DataFrame:
     return facts.edges
 
 
-def reach(edges: DataFrame, seeds: list[str] | None = None, strategy: str = "seminaive", reflexive: bool = False, max_rounds: int = 200) -> DataFrame:
+def reach(edges: DataFrame, seeds: list[str] | None = None, strategy: str = "seminaive", reflexive: bool = False) -> DataFrame:
     """dst, src, hops: the transitive closure, with the fewest edges of a path. seeds restricts the sources.
 
-    strategy: 'seminaive' and 'naive' extend paths by one edge a round, 'doubling' joins paths with paths (about log2 of the longest
-    path in rounds), 'cte' is one recursive query (acyclic graphs only).
+    strategy: 'seminaive' extends the last round's paths by one edge, 'naive' all paths again and again, 'doubling' joins paths with
+    paths (about log2 of the longest path in rounds), 'cte' is one recursive query (acyclic graphs only).
     """
     e = edges.select("dst", "src").distinct()
     if strategy == "cte":
@@ -40,7 +40,7 @@ def reach(edges: DataFrame, seeds: list[str] | None = None, strategy: str = "sem
             return both.groupBy("dst", "src").agg(F.min("hops").alias("hops"))
 
         # paths of one more edge each round: the first found is the shortest; doubling settles hops below
-        found, _ = seminaive(start.withColumn("hops", F.lit(1)), step, ["dst", "src"] if strategy != "doubling" else ["dst", "src", "hops"], max_rounds)
+        found, _ = seminaive(start.withColumn("hops", F.lit(1)), step, ["dst", "src"] if strategy != "doubling" else ["dst", "src", "hops"], strategy="naive" if strategy == "naive" else "seminaive")
         found = found.groupBy("dst", "src").agg(F.min("hops").alias("hops"))
     if reflexive:
         nodes = e.select("dst").union(e.select("src")).distinct().select("dst", F.col("dst").alias("src"), F.lit(0).alias("hops"))
@@ -48,6 +48,16 @@ def reach(edges: DataFrame, seeds: list[str] | None = None, strategy: str = "sem
     return found.select("dst", "src", F.col("hops").cast("int").alias("hops"))
 
 
+def work(edges: DataFrame, strategy: str = "seminaive") -> dict[str, int]:
+    """What a strategy's rounds cost: rounds, and rows that are joined with the edges in all of them together."""
+    e = edges.select("dst", "src").distinct()
+    nexts = e.select(F.col("src").alias("__mid"), F.col("dst").alias("__to"))
+    step = lambda delta, known: delta.join(nexts, delta["dst"] == nexts["__mid"]).select(F.col("__to").alias("dst"), "src")
+    _, sizes = seminaive(e, step, ["dst", "src"], strategy=strategy)
+    stepped = sizes if strategy == "seminaive" else [sum(sizes[: i + 1]) for i in range(len(sizes))]
+    return {"rounds": len(sizes), "rows_stepped": sum(stepped), "pairs": sum(sizes)}
+
+
 def _reach_cte(e: DataFrame) -> DataFrame:
     spark = e.sparkSession
     e.createOrReplaceTempView("ds_reach_edges")
@@ -57,7 +67,7 @@ def _reach_cte(e: DataFrame) -> DataFrame:
     )
 
 
-def explain(edges: DataFrame, dst: str, src: str, max_rounds: int = 200) -> DataFrame:
+def explain(edges: DataFrame, dst: str, src: str) -> DataFrame:
     """path: every simple path from src to dst, as arrays of names. Meant for one pair; paths can be many."""
     e = edges.select("dst", "src").distinct().select(F.col("src").alias("__mid"), F.col("dst").alias("__to"))
     # only nodes on the way matter
@@ -70,11 +80,11 @@ def explain(edges: DataFrame, dst: str, src: str, max_rounds: int = 200) -> Data
         on = F.element_at(open_["path"], -1) == e["__mid"]
         return open_.join(e, on).where(~F.array_contains("path", F.col("__to"))).select(F.array_append("path", F.col("__to")).alias("path"))
 
-    found, _ = seminaive(start, step, ["path"], max_rounds)
+    found, _ = seminaive(start, step, ["path"])
     return found.where((F.element_at("path", -1) == dst) & (F.size("path") > 1))
 
 
-def signed_reach(edges: DataFrame, max_rounds: int = 400) -> DataFrame:
+def signed_reach(edges: DataFrame) -> DataFrame:
     """dst, src, sign: +1 for a path with an even number of negative edges, -1 for an odd one; both may hold."""
     e = edges.select("dst", "src", F.when(F.col("polarity") == "-", -1).otherwise(1).alias("sign")).distinct()
     nexts = e.select(F.col("src").alias("__mid"), F.col("dst").alias("__to"), F.col("sign").alias("__s"))
@@ -82,7 +92,7 @@ def signed_reach(edges: DataFrame, max_rounds: int = 400) -> DataFrame:
     def step(delta: DataFrame, known: DataFrame) -> DataFrame:
         return delta.join(nexts, delta["dst"] == nexts["__mid"]).select(F.col("__to").alias("dst"), "src", (F.col("sign") * F.col("__s")).alias("sign"))
 
-    return seminaive(e, step, ["dst", "src", "sign"], max_rounds)[0]
+    return seminaive(e, step, ["dst", "src", "sign"])[0]
 
 
 def negative_cycles(edges: DataFrame) -> DataFrame:
@@ -95,7 +105,7 @@ def negative_cycles(edges: DataFrame) -> DataFrame:
     return closing.union(loops).select(F.explode(F.array("d", "s")).alias("rel")).distinct()
 
 
-def levels(edges: DataFrame, max_rounds: int = 400) -> DataFrame:
+def levels(edges: DataFrame) -> DataFrame:
     """rel, level, scc: the longest path from a source, counted over strongly connected components, which are named by their least member."""
     there = reach(edges, reflexive=True)
     a, b = there.alias("a"), there.alias("b")
@@ -108,5 +118,5 @@ def levels(edges: DataFrame, max_rounds: int = 400) -> DataFrame:
     def step(delta: DataFrame, known: DataFrame) -> DataFrame:
         return delta.join(between, delta["scc"] == between["fro"]).select(F.col("to").alias("scc"), (F.col("level") + 1).alias("level"))
 
-    deep = seminaive(start, step, ["scc", "level"], max_rounds)[0].groupBy("scc").agg(F.max("level").alias("level"))
+    deep = seminaive(start, step, ["scc", "level"])[0].groupBy("scc").agg(F.max("level").alias("level"))
     return scc.join(deep, "scc").select("rel", "level", "scc")

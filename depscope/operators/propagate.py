@@ -3,20 +3,23 @@
 Relations are taken level by level, all relations of a level in one job: facts are carried from the levels below, added for equalities,
 constants and calls, and closed, each relation's fixpoint inside one task. The number of jobs is the depth of the view hierarchy, not
 the number of relations or of derivation rounds. A linear recursion is settled at its own level by candidate facts. With
-strategy 'joint' all rules run together, round by round, in DataFrame operations alone; both give the same facts.
+strategy 'joint' all rules run together, round by round, in DataFrame operations alone; with 'memory' they run over the driver's catalog.
+All give the same facts; 'auto' takes 'memory' up to IN_MEMORY relations and 'levels' beyond.
 """
 
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import cached_property
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from depscope.functions import traces
 from depscope.operators import closure, combine, graph
 from depscope.operators.fixpoint import Growing, seminaive
 from depscope.operators.traits import KEEPING
+from depscope.sources.facts import local, struct
 
 
 @dataclass(frozen=True)
@@ -32,10 +35,12 @@ class Options:
     require_shared_origin: bool = False
     max_lhs: int | None = None
     prune: bool = True
-    max_rounds: int = 100
-    strategy: str = "levels"
+    max_rounds: int | None = None
+    strategy: str = "auto"
 
 
+#: Relations, helpers of the normal form included, up to which 'auto' runs the rules in the driver's memory.
+IN_MEMORY = 5_000
 NO_INTS = closure.NO_INTS
 
 
@@ -103,7 +108,10 @@ class Propagation:
         self._recursive = [r[0] for r in facts.catalog.recdefs]
         self.ops = facts.ops.where(~F.col("dst").isin(self._recursive)) if self._recursive else facts.ops
         self.in_scope = closure.scope(facts, options.closure_scope)
-        self._origins = shared_origins(facts) if options.require_shared_origin else None
+
+    @cached_property
+    def _origins(self) -> DataFrame | None:
+        return shared_origins(self.facts) if self.o.require_shared_origin else None
 
     def start(self) -> DataFrame:
         """Declared FDs, and those of equalities, constants and calls."""
@@ -198,7 +206,7 @@ class Propagation:
         """closure.scope() for the planner, from the catalog."""
         cat, wide = self.facts.catalog, self.o.closure_scope == "all"
         kinds = {"join", "intersection", "product", "union", "recursion"} if wide else {"join"}
-        return set(cat.bases) | {n.name for n in cat.nodes.values() if n.operator in kinds or n.eqs or n.consts or (wide and n.calls)}
+        return set(cat.bases) | {n.name for n in cat.nodes.values() if n.operator in kinds or n.eqs or n.consts or n.closing or (wide and n.calls)}
 
     def climb(self, levels: list[list[str]], table: Growing, added: DataFrame) -> None:
         """Adds the facts of each level to table."""
@@ -233,9 +241,14 @@ class Propagation:
         return table.all()
 
     def run(self) -> DataFrame:
-        from depscope.operators import recursion
-
-        if self.o.strategy == "levels":
+        from depscope.operators import inmemory, recursion
+
+        strategy = self.o.strategy
+        if strategy == "auto":
+            strategy = "memory" if len(self.facts.catalog.nodes) + len(self.facts.catalog.bases) <= IN_MEMORY else "levels"
+        if strategy == "memory":
+            return local(self.facts.spark, inmemory.least(inmemory.Climb(self).run()), struct("fd"))
+        if strategy == "levels":
             return _least(self._climbed())
         found = self.settle(self.start())
         if self.o.recursion != "none":
@@ -263,6 +276,34 @@ def named(fd: DataFrame, facts) -> DataFrame:
     )
 
 
+STEPS = "step int, rel string, lhs string, rhs int, rule string, premises string, term string"
+
+
+def explain_fd(facts, rel: str, lhs: list[int], rhs: int, **options) -> DataFrame:
+    """step, rel, lhs, rhs, rule, premises, term: a derivation of an FD, rule by rule; premises are the numbers of earlier steps. Empty if it isn't derived.
+
+    The shortest of its derivations by level is told, from the rules run over the catalog in memory.
+    """
+    from depscope.operators import inmemory
+
+    rows = inmemory.Climb(Propagation(facts, Options(**options))).run()
+    goals = [r for r in rows if r["rel"] == rel and r["lhs"] == tuple(sorted(lhs)) and r["rhs"] == rhs and r["status"] == "fact"]
+    if not goals:
+        return local(facts.spark, [], STEPS)
+    steps = inmemory.derivation(min(goals, key=lambda r: (r["level"], len(r["trace"]), r["trace"])))
+    number = {id(r): i for i, r in enumerate(steps, 1)}
+    told = [(i, r["rel"], ",".join(map(str, r["lhs"])), r["rhs"], r["rule"], ",".join(str(number[id(w)]) for w in r.get("why", ())), " ".join(r["trace"])) for i, r in enumerate(steps, 1)]
+    return local(facts.spark, told, STEPS)
+
+
+def explain_path(edges: DataFrame, dst: str, src: str) -> DataFrame:
+    """path_no, step, dst, src, kind: the edges of every path that makes dst depend on src."""
+    paths = graph.explain(edges, dst, src).select(F.row_number().over(Window.orderBy(F.array_join("path", " "))).alias("path_no"), "path")
+    hops = paths.select("path_no", F.posexplode(F.zip_with(F.slice("path", 1, F.size("path") - 1), F.slice("path", 2, F.size("path")), lambda a, b: F.struct(a.alias("src"), b.alias("dst")))).alias("step", "hop"))
+    kinds = edges.select(F.col("dst").alias("d"), F.col("src").alias("s"), "kind").distinct()
+    return hops.join(kinds, (F.col("hop.dst") == F.col("d")) & (F.col("hop.src") == F.col("s"))).select("path_no", (F.col("step") + 1).alias("step"), "hop.dst", "hop.src", "kind")
+
+
 def explain(row) -> str:
     """A fact in words: what it says, the rule that made it, the term that computes it and the base FDs it rests on."""
     origins = sorted({t[2:].rpartition("/")[0] for t in row["trace"] if t.startswith("F:")})

@@ -31,7 +31,7 @@ def affected_views(facts, table: str, strategy: str = "seminaive") -> DataFrame:
     return there.join(facts.derived_rels, there["dst"] == F.col("name"), "left_semi").select(F.col("dst").alias("view"), "hops")
 
 
-def affected_columns(facts, table: str, column: str, max_rounds: int = 200) -> DataFrame:
+def affected_columns(facts, table: str, column: str) -> DataFrame:
     """rel, name: columns of registered views whose values come from a column, by copies and calls. Conditions are not values."""
     ops = facts.ops
     keep = ops.where("m IS NULL").select("dst", "src")
@@ -45,7 +45,7 @@ def affected_columns(facts, table: str, column: str, max_rounds: int = 200) -> D
         inside = delta.alias("d").join(within.alias("w"), (F.col("d.rel") == F.col("w.rel")) & (F.col("d.pos") == F.col("w.fro"))).select(F.col("d.rel").alias("rel"), F.col("w.to").alias("pos"))
         return same.unionByName(moved).unionByName(inside)
 
-    found, _ = seminaive(start, step, ["rel", "pos"], max_rounds)
+    found, _ = seminaive(start, step, ["rel", "pos"])
     views = facts.derived_rels.select(F.col("name").alias("rel"))
     return found.join(views, "rel", "left_semi").join(facts.attrs, ["rel", "pos"]).select("rel", "name").distinct()
 
@@ -104,3 +104,15 @@ def dangling_references(facts) -> DataFrame:
 def direct_only(facts, table: str) -> DataFrame:
     """view: what a catalog of direct dependencies alone answers to affected_views."""
     return facts.edges.where(F.col("src") == table).join(facts.derived_rels, F.col("dst") == F.col("name"), "left_semi").select(F.col("dst").alias("view")).distinct()
+
+
+def tables_by_action(facts, action: str) -> DataFrame:
+    """rel, trigger, role: tables whose insert, update or delete (``action``) a trigger watches, or that a trigger changes so."""
+    watched = facts.triggers.where(F.col("event") == action).select(F.col("on_rel").alias("rel"), F.col("name").alias("trigger"), F.lit("watched").alias("role"))
+    return watched.union(facts.triggers.where(F.col("action") == action).select("action_rel", "name", F.lit("changed")))
+
+
+def views_by_aggregate(facts, fns: list[str]) -> DataFrame:
+    """view, fn, name: the output columns of views that an aggregate of ``fns`` makes."""
+    calls = facts.calls.where(F.col("fn").isin(fns)).select("rel", F.col("output").alias("pos"), "fn")
+    return calls.join(facts.attrs, ["rel", "pos"]).select(F.col("rel").alias("view"), "fn", "name").distinct()

@@ -70,7 +70,7 @@ def seed(fd: DataFrame, recdefs: DataFrame) -> DataFrame:
 def push(propagation, facts_so_far: DataFrame, candidates: DataFrame, recs: list[tuple[str, str, str]]) -> DataFrame:
     """Candidates of the whole steps: all rules over the steps' operators, facts and candidates mixed."""
     inside = sorted({x for rec in recs for x in body(propagation.facts.catalog, rec)})
-    if propagation.o.strategy == "levels":
+    if propagation.o.strategy != "joint":
         return propagation.pushed(facts_so_far, candidates, inside, [r[0] for r in recs]).where("status = 'candidate'")
     return propagation.settle(facts_so_far.unionByName(candidates), propagation.ops.where(F.col("dst").isin(inside))).where("status = 'candidate'")
 

@@ -41,14 +41,44 @@ def check_fd(df: DataFrame, lhs: list[str], rhs: str) -> DataFrame:
     return check_fds(df, lhs, [rhs]).select(F.col("n_groups").alias("groups"), "violating_groups")
 
 
+#: Left-side columns of one pass: each is a bit of the grouping id.
+MOST_KEYS = 60
+
+
+def check_view(df: DataFrame, fds: list[tuple[tuple[str, ...], str]]) -> DataFrame:
+    """lhs, rhs, n_groups, violating_groups for FDs of any left sides over one view: the view is computed once, and grouped by all its left sides together."""
+    by: dict[frozenset, list[tuple[tuple[str, ...], str]]] = {}
+    for lhs, rhs in fds:
+        by.setdefault(frozenset(lhs), []).append((tuple(lhs), rhs))
+    if len(by) == 1:
+        lhs = fds[0][0]
+        return check_fds(df, list(lhs), sorted({r for _, r in fds})).select(F.lit(",".join(lhs)).alias("lhs"), "rhs", "n_groups", "violating_groups")
+    keys, values = sorted({c for lhs in by for c in lhs}), sorted({r for _, r in fds})
+    if len(keys) > MOST_KEYS:
+        half = len(fds) // 2
+        return check_view(df, fds[:half]).unionByName(check_view(df, fds[half:]))
+    at, rows = {c: f"k{i}" for i, c in enumerate(keys)}, df.select(*(_comparable(df, c).alias(f"k{i}") for i, c in enumerate(keys)), *(_comparable(df, c).alias(f"r{i}") for i, c in enumerate(values)))
+    flags = [_broken(F.col(f"r{i}")).alias(f"b{i}") for i in range(len(values))]
+    groups = rows.groupingSets([[F.col(at[c]) for c in sorted(lhs)] for lhs in by], *(F.col(f"k{i}") for i in range(len(keys)))).agg(F.grouping_id().alias("gid"), *flags)
+    sums = groups.groupBy("gid").agg(F.count("*").alias("n_groups"), *(F.sum(F.when(F.col(f"b{i}"), 1).otherwise(0)).cast("long").alias(f"v{i}") for i in range(len(values))))
+    # the grouping id has a bit for each key column, 1 where a set leaves it out
+    gid = lambda lhs: sum(1 << (len(keys) - 1 - i) for i, c in enumerate(keys) if c not in lhs)
+    of = F.map_from_entries(F.collect_list(F.struct(F.col("gid").cast("long").alias("gid"), F.struct("n_groups", F.array(*(F.col(f"v{i}") for i in range(len(values)))).alias("v")).alias("s"))))
+    asked = [F.struct(F.lit(gid(lhs)).cast("long").alias("gid"), F.lit(",".join(own)).alias("lhs"), F.lit(rhs).alias("rhs"), F.lit(values.index(rhs)).alias("at")) for lhs, some in by.items() for own, rhs in dict.fromkeys(some)]
+    # one entry for each left side; an empty view has none, and its FDs no groups
+    found = sums.agg(of.alias("of")).select("of", F.explode(F.array(*asked)).alias("x")).select("x.*", F.try_element_at("of", F.col("x.gid")).alias("s"))
+    zero = lambda c: F.coalesce(c, F.lit(0)).cast("long")
+    return found.select("lhs", "rhs", zero(F.col("s.n_groups")).alias("n_groups"), zero(F.get("s.v", F.col("at"))).alias("violating_groups"))
+
+
 def check_many(views: dict[str, DataFrame], fds: list[tuple[str, tuple[str, ...], str]]) -> DataFrame:
-    """rel, lhs, rhs, n_groups, violating_groups; FDs of one relation and left side share a pass."""
-    by: dict[tuple[str, tuple[str, ...]], list[str]] = {}
+    """rel, lhs, rhs, n_groups, violating_groups; the FDs of one relation share a pass over it."""
+    by: dict[str, list[tuple[tuple[str, ...], str]]] = {}
     for rel, lhs, rhs in fds:
-        by.setdefault((rel, tuple(lhs)), []).append(rhs)
+        by.setdefault(rel, []).append((tuple(lhs), rhs))
     out = None
-    for (rel, lhs), rhs in sorted(by.items()):
-        one = check_fds(views[rel], list(lhs), sorted(set(rhs))).select(F.lit(rel).alias("rel"), F.lit(",".join(lhs)).alias("lhs"), "rhs", "n_groups", "violating_groups")
+    for rel, own in sorted(by.items()):
+        one = check_view(views[rel], own).select(F.lit(rel).alias("rel"), "lhs", "rhs", "n_groups", "violating_groups")
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -67,19 +97,19 @@ def refuted_on_sample(df: DataFrame, lhs: list[str], rhs: str, one_in: int = 100
     return check_fd(part, lhs, rhs).first()["violating_groups"] > 0
 
 
-def discover(df: DataFrame, max_lhs: int = 2, columns: list[str] | None = None) -> DataFrame:
-    """lhs, rhs: all minimal FDs on the data with up to max_lhs columns on the left, level by level, brute force."""
+def discover(df: DataFrame, max_lhs: int | None = None, columns: list[str] | None = None) -> DataFrame:
+    """lhs, rhs: all minimal FDs on the data, brute force, one pass for each number of columns on the left; max_lhs bounds that number."""
     columns = columns or df.columns
     found: list[tuple[tuple[str, ...], str]] = []
-    for n in range(max_lhs + 1):
-        for lhs in combinations(columns, n):
-            open_ = [r for r in columns if r not in lhs and not any(set(k) <= set(lhs) and r == y for k, y in found)]
-            if open_:
-                found += [(lhs, r["rhs"]) for r in check_fds(df, list(lhs), open_).collect() if not r["violating_groups"]]
+    for n in range(min(len(columns) - 1, len(columns) if max_lhs is None else max_lhs) + 1):
+        asked = [(lhs, r) for lhs in combinations(columns, n) for r in columns if r not in lhs and not any(set(k) <= set(lhs) and r == y for k, y in found)]
+        if asked:
+            broken = {(x["lhs"], x["rhs"]) for x in check_view(df, asked).collect() if x["violating_groups"]}
+            found += [(lhs, r) for lhs, r in asked if (",".join(lhs), r) not in broken]
     return local(df.sparkSession, [(",".join(lhs), r) for lhs, r in sorted(found)], "lhs string, rhs string")
 
 
-def instance_only(df: DataFrame, reported: list[tuple[tuple[str, ...], str]], max_lhs: int = 2) -> DataFrame:
+def instance_only(df: DataFrame, reported: list[tuple[tuple[str, ...], str]], max_lhs: int | None = None) -> DataFrame:
     """lhs, rhs: minimal FDs of the data that don't follow from the reported ones; what a schema can't tell of its present rows."""
     from depscope.operators import armstrong
 

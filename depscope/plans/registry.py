@@ -11,10 +11,14 @@ from depscope.sources.facts import Base, Call, Catalog, FactStore, OpNode
 
 
 class SchemaRegistry:
-    """Collects schema objects; facts() gives their fact tables. Names share one space, as temporary views do."""
+    """Collects schema objects; facts() gives their fact tables. Names share one space, as temporary views do.
 
-    def __init__(self, spark: SparkSession):
-        self.spark, self.catalog = spark, Catalog()
+    outer_joins: 'kept' reads an outer join as its kept side (a full one as nothing), 'united' as the inner join united with the padded rest
+    of each kept side, which gives more FDs and more relations.
+    """
+
+    def __init__(self, spark: SparkSession, outer_joins: str = "kept"):
+        self.spark, self.catalog, self.outer_joins = spark, Catalog(), outer_joins
         self._ids: set[str] = set()
 
     # --- base relations -----------------------------------------------------------
@@ -62,7 +66,7 @@ class SchemaRegistry:
     def add_view(self, name: str, query: str | DataFrame) -> DataFrame:
         """A view by SQL or DataFrame; it becomes a temporary view and its analysed plan is read."""
         df = self.spark.sql(query) if isinstance(query, str) else query
-        self._adopt(name, Reader(self.catalog, name).read(df))
+        self._adopt(name, Reader(self.catalog, name, self.outer_joins).read(df))
         df.createOrReplaceTempView(name)
         return df
 
@@ -81,10 +85,10 @@ class SchemaRegistry:
         """A linear recursion: the step reads ``name``. Contents aren't computed here; the step's plan is read against the base's columns."""
         df = self.spark.sql(base) if isinstance(base, str) else base
         base_name, step_name = f"{name}$base", f"{name}$step"
-        self._nodes(Reader(self.catalog, base_name).read(df))
+        self._nodes(Reader(self.catalog, base_name, self.outer_joins).read(df))
         self.catalog.nodes[name] = OpNode(name, "union", [base_name, step_name], len(df.columns), columns=[(f.name, f.dataType.simpleString()) for f in df.schema.fields])
         df.createOrReplaceTempView(name)
-        self._nodes(Reader(self.catalog, step_name).read(self.spark.sql(step)))
+        self._nodes(Reader(self.catalog, step_name, self.outer_joins).read(self.spark.sql(step)))
         self.catalog.views[name] = self.catalog.nodes[name].columns
         self._find_recursion()
 

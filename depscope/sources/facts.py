@@ -70,6 +70,8 @@ class OpNode:
     consts: list[tuple[int, str | None, str]] = field(default_factory=list)
     calls: list[Call] = field(default_factory=list)
     columns: list[tuple[str, str]] = field(default_factory=list)
+    #: Whether transitive FDs are looked for here whatever the scope.
+    closing: bool = False
 
     def __post_init__(self) -> None:
         self.maps = self.maps or [None] * len(self.inputs)
@@ -177,6 +179,10 @@ class FactStore:
     def constconds(self) -> DataFrame:
         return self._df("constcond", [(n.name, p, v, t) for n in self.catalog.nodes.values() for p, v, t in n.consts])
 
+    @cached_property
+    def closing(self) -> DataFrame:
+        return local(self.spark, [(n.name,) for n in self.catalog.nodes.values() if n.closing], "rel string")
+
     @cached_property
     def recdefs(self) -> DataFrame:
         return self._df("recdef", self.catalog.recdefs)
