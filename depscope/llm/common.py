@@ -2,12 +2,17 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from depscope.operators.fixpoint import delete, forget_scratch, scratch_root
+
+__all__ = ["delete", "forget_scratch"]
+
 #: Java pattern of a run of white space and its complement, the words (code points outside space and \t..\r).
 SPACES = "[ \\t-\\r]+"
 SPACE_CHARS = " \t\n\x0b\x0c\r"
@@ -17,17 +22,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that the driver and all executors share: spark.checkpoint.dir, or a temporary one where none is set (tests)."""
-    found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not found:
-        found = tempfile.mkdtemp(prefix="depscope-")
-        spark.sparkContext.setCheckpointDir(found)
-    return found.rstrip("/")
+_PATHS: list[list[str]] = []
 
 
 def scratch_path(spark: SparkSession, tag: str) -> str:
-    return f"{shared_dir(spark)}/depscope-{spark.sparkContext.applicationId}/{uuid.uuid4().hex}/{tag}"
+    path = f"{scratch_root(spark)}/{uuid.uuid4().hex}/{tag}"
+    for paths in _PATHS:
+        paths.append(path)
+    return path
 
 
 def written(df: DataFrame, tag: str) -> DataFrame:
@@ -37,10 +39,17 @@ def written(df: DataFrame, tag: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def forget_scratch(spark: SparkSession) -> None:
-    """Deletes this application's scratch tables; call it once no returned DataFrame is needed any more."""
-    path = spark._jvm.org.apache.hadoop.fs.Path(f"{shared_dir(spark)}/depscope-{spark.sparkContext.applicationId}")
-    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+@contextmanager
+def passing_scratch(spark: SparkSession) -> Iterator[list[str]]:
+    """Scratch tables made inside go at the end, but for those that the body takes out of the list it gets."""
+    paths: list[str] = []
+    _PATHS.append(paths)
+    try:
+        yield paths
+    finally:
+        _PATHS.remove(paths)
+        for path in paths:
+            delete(spark, path.rpartition("/")[0])
 
 
 def text_or_empty(text: Column | str = "text") -> Column:
