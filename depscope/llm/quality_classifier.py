@@ -28,6 +28,8 @@ from depscope.llm.common import hash_key, table
 BUCKETS, FACTORS = 4096, 8
 #: Most labelled rows that training takes; their features (about 4 kB each) are gathered on the driver.
 TRAIN_ROWS = 6000
+#: Features of a block of documents that are scored at once: FACTORS doubles each, a few times over (about 50 MB).
+BLOCK = 100_000
 EPOCHS, BATCH, RATE, DECAY, SEED = 12, 64, 0.02, 1e-4, 7
 CUT = 0.3
 #: Distinct words whose bucket a worker remembers at most.
@@ -131,9 +133,25 @@ def fitted(at_all: np.ndarray, x_all: np.ndarray, ends: np.ndarray, labels: np.n
 def _feature_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     known: dict[bytes, int] = {}
     for batch in batches:
-        rows = [features(t.as_py() or b"", known) for t in batch.column("text").cast(pa.binary())]
-        at = pa.array([i for i, _ in rows], pa.list_(pa.int32()))
-        yield pa.RecordBatch.from_arrays([batch.column("label_id"), batch.column("quality"), at, pa.array([v for _, v in rows], pa.list_(pa.float32()))], ["label_id", "quality", "at", "x"])
+        done = 0
+        for rows in _blocks(batch, known):
+            part = batch.slice(done, len(rows))
+            done += len(rows)
+            at, x = pa.array([i for i, _ in rows], pa.list_(pa.int32())), pa.array([v for _, v in rows], pa.list_(pa.float32()))
+            yield pa.RecordBatch.from_arrays([*(part.column(c) for c in ("label_id", "quality", "text_key")), at, x], ["label_id", "quality", "text_key", "at", "x"])
+
+
+def _blocks(batch: pa.RecordBatch, known: dict[bytes, int]) -> Iterator[list[tuple[list[int], list[float]]]]:
+    """The features of a batch's texts, in blocks that end once they hold BLOCK features; a text has at most BUCKETS + len(STATS)."""
+    rows, n = [], 0
+    for t in batch.column("text").cast(pa.large_binary()):
+        rows.append(features(t.as_py() or b"", known))
+        n += len(rows[-1][0])
+        if n >= BLOCK:
+            yield rows
+            rows, n = [], 0
+    if rows:
+        yield rows
 
 
 def trained(docs: DataFrame, labels: DataFrame, most: int = TRAIN_ROWS) -> Machine | None:
@@ -142,9 +160,11 @@ def trained(docs: DataFrame, labels: DataFrame, most: int = TRAIN_ROWS) -> Machi
     known = known.where(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 != 0).orderBy(hash_key(F.col("doc_id")), "doc_id").limit(most)
     known = known.select(F.col("doc_id").alias("label_id"), F.col("quality").cast("int").alias("quality"))
     # bounded by ``most`` rows of two numbers
-    rows = docs.select("doc_id", "text").join(F.broadcast(known), F.col("doc_id") == F.col("label_id")).select("label_id", "quality", "text")
-    got = rows.mapInArrow(_feature_batches, "label_id long, quality int, at array<int>, x array<float>").toArrow()
-    got = got.sort_by([("label_id", "ascending"), ("quality", "ascending")]).combine_chunks()
+    rows = docs.select("doc_id", "text").join(F.broadcast(known), F.col("doc_id") == F.col("label_id")).select("label_id", "quality", F.xxhash64("text").alias("text_key"), "text")
+    rows = rows.mapInArrow(_feature_batches, "label_id long, quality int, text_key long, at array<int>, x array<float>")
+    # a doc_id that documents repeat trains once, by its text of the least hash: rows that are gathered are bounded, too
+    rows = rows.groupBy("label_id").agg(F.min_by(F.struct("quality", "at", "x"), "text_key").alias("row")).select("label_id", "row.*")
+    got = rows.toArrow().sort_by([("label_id", "ascending")]).combine_chunks()
     y = got.column("quality").to_numpy()
     if len(np.unique(y)) < 2:
         return None
@@ -159,9 +179,11 @@ def scored(docs: DataFrame, model: Machine | None) -> DataFrame:
         known: dict[bytes, int] = {}
         for batch in it:
             score = np.full(batch.num_rows, 0.5)
-            if model is not None and batch.num_rows:
-                odds, _ = model.raw(*_packed([features(t.as_py() or b"", known) for t in batch.column("text").cast(pa.binary())]))
-                score = 1 / (1 + np.exp(-np.clip(odds, -30, 30)))
+            done = 0
+            for rows in _blocks(batch, known) if model is not None else ():
+                odds, _ = model.raw(*_packed(rows))
+                score[done : done + len(rows)] = 1 / (1 + np.exp(-np.clip(odds, -30, 30)))
+                done += len(rows)
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(score, pa.float64())], ["doc_id", "score"])
 
     return docs.selectExpr("cast(doc_id as long) AS doc_id", "text").mapInArrow(batches, "doc_id long, score double")
