@@ -1,10 +1,11 @@
 """Secret scan: base patterns plus assignment-aware lexing.
 
 The lexer reads source and configuration syntax into assignments (name, literal terms): ``name = "x"``,
-``name: x``, ``name := 'a' + "b"``, ``{"name": "x"}``. Names bound to literals are constants; a later assignment of a
+``name: x``, ``name := 'a' + "b"``, ``{"name": "x"}``; strings may hold escapes, and be quoted by three quotes or backticks; an unquoted
+value ends at white space or a delimiter. Names bound to literals are constants; a later assignment of a
 constant, or of a concatenation with one, carries the constant's literals along. A literal is scored by the most
 sensitive name it reaches and by its own form (length, entropy, kinds of characters, placeholders); literals at
-``THRESHOLD`` or above that no base span covers are added as spans of kind ``literal``.
+``THRESHOLD`` or above that no base span covers whole are added as spans of kind ``literal``.
 
 Defined results: a null or empty text has no spans; rows that repeat a doc_id each get their row; other columns are
 ignored; an empty table gives an empty result. Cost is linear in the text: the lexer's patterns don't step back, and
@@ -34,19 +35,26 @@ KINDS = ("assign", "access", "hex", "literal")
 WORDS = (b"password", b"passwd", b"secret", b"token", b"apikey", b"api_key")
 LONG_HEX = re.compile(rb"[0-9a-f]{16}")
 
-#: Name parts that make a target sensitive, and how much.
-SENSITIVE = {"password": 3, "passwd": 3, "pwd": 3, "passphrase": 3, "secret": 3, "token": 3, "apikey": 3, "privatekey": 3, "accesskey": 3, "credential": 3, "authorization": 2, "auth": 2, "signingkey": 3, "key": 1, "salt": 1}
+#: Parts of a name that make it sensitive, and how much. A name's parts are its words, by case and separators; a run of parts counts joined.
+SENSITIVE = {"password": 3, "passwd": 3, "pwd": 3, "pass": 2, "passphrase": 3, "passcode": 3, "secret": 3, "secrets": 3, "token": 3, "tokens": 3, "apikey": 3, "privatekey": 3, "accesskey": 3, "secretkey": 3, "signingkey": 3, "encryptionkey": 3, "credential": 3, "credentials": 3, "authorization": 2, "auth": 2, "bearer": 3, "key": 1, "salt": 1}
+PARTS = re.compile(r"[A-Z]+(?![a-z])|[A-Z]?[a-z]+|[0-9]+")
 PLACEHOLDER = re.compile(r"example|sample|change_?me|placeholder|your|dummy|test|xxxx|\*\*\*|<|>|\$\{|\{\{", re.IGNORECASE)
 THRESHOLD = 5.0
 
-PAIR = re.compile(r"""(?<![A-Za-z0-9_.-])["']?([A-Za-z_][A-Za-z0-9_.-]*+)["']?[ \t]*+(?::=|=>|=|:)[ \t]*+(?=["'A-Za-z0-9])""")
-TERM = re.compile(r""""([^"\n\\]*+)"|'([^'\n\\]*+)'|([A-Za-z0-9][A-Za-z0-9+/_.=-]*+)""")
-PLUS = re.compile(r"[ \t]*+\+[ \t]*+(?=[\"'A-Za-z0-9])")
+PAIR = re.compile(r"""(?<![A-Za-z0-9_.-])["']?([A-Za-z_][A-Za-z0-9_.-]*+)["']?[ \t]*+(?::=|=>|=|:)(?!=)[ \t]*+(?=[^\s,;)\]}])""")
+# a string in three quotes, in quotes with escapes, or a bare value up to white space or a delimiter
+TERM = re.compile(
+    r'''"""((?:[^"\\]|\\.|"(?!""))*+)"""|"((?:[^"\\\n]|\\.)*+)"|'((?:[^'\\\n]|\\.)*+)'|`([^`\n]*+)`|([^\s"'`,;()\[\]{}+]++(?:\+[^\s"'`,;()\[\]{}+]++)*+)''',
+    re.DOTALL,
+)
+PLUS = re.compile(r"[ \t]*+\+[ \t]*+(?=[\"'`A-Za-z0-9])")
 
 
 def sensitivity(name: str) -> int:
-    plain = re.sub(r"[^a-z0-9]", "", name.lower())
-    return max((w for part, w in SENSITIVE.items() if part in plain), default=0)
+    """The weight of the most sensitive part of a name, of one word or of neighbouring words joined (api_key, apiKey)."""
+    parts = [p.lower() for p in PARTS.findall(name)]
+    joined = [a + b for a, b in zip(parts, parts[1:], strict=False)]
+    return max((SENSITIVE.get(p, 0) for p in (*parts, *joined)), default=0)
 
 
 def entropy(literal: str) -> float:
@@ -77,8 +85,8 @@ def assignments(text: str) -> list[tuple[str, list[tuple[int, int, bool]]]]:
         terms: list[tuple[int, int, bool]] = []
         at = m.end()
         while t := TERM.match(text, at):
-            group = next(g for g in (1, 2, 3) if t.group(g) is not None)
-            terms.append((*t.span(group), group < 3))
+            group = t.lastindex
+            terms.append((*t.span(group), group < 5))
             at = t.end()
             if not (p := PLUS.match(text, at)):
                 break
@@ -124,7 +132,7 @@ def base_spans(text: str) -> list[tuple[str, int, int]]:
 
 
 def added_spans(text: str, base: list[tuple[str, int, int]]) -> list[tuple[str, int, int]]:
-    """Literal spans that no base span touches."""
+    """Literal spans that base spans don't cover whole; a base span that merely touches one leaves it."""
     merged: list[list[int]] = []
     for start, end in sorted((s, e) for _, s, e in base):
         if merged and start <= merged[-1][1]:
@@ -133,8 +141,8 @@ def added_spans(text: str, base: list[tuple[str, int, int]]) -> list[tuple[str,
             merged.append([start, end])
     out = []
     for start, end, _ in literal_spans(text):
-        i = bisect_left(merged, [end]) - 1  # the last covered stretch that begins before the literal ends
-        if i < 0 or merged[i][1] <= start:
+        i = bisect_left(merged, [start + 1]) - 1  # the last covered stretch that begins at or before the literal
+        if i < 0 or merged[i][1] < end:
             out.append(("literal", start, end))
     return out
 
