@@ -1,7 +1,8 @@
 """URL filter: host and path rules, and logistic regression on hashed character n-grams for all other URLs.
 
 A rule fits its host and all subdomains where the path starts with the rule's path; the longest fitting rule decides.
-URLs without a rule are judged by a model fitted on the driver to a small labelled URL table (``LABELLED``).
+URLs without a rule are judged by a model fitted on the driver to a small labelled URL table of (host, path, 1 to block): the
+caller's, or ``labelled_urls``, which is made of common words and knows no table that it is used on.
 
 Defined results: a null URL, or one without ``://``, has an empty host and path, fits no rule and is allowed; rows that repeat a
 page_id each get their row; other columns are ignored; an empty table gives an empty result.
@@ -9,6 +10,7 @@ page_id each get their row; other columns are ignored; an empty table gives an e
 
 from __future__ import annotations
 
+import random
 from collections.abc import Iterator
 from functools import lru_cache
 from zlib import crc32
@@ -23,29 +25,31 @@ from depscope.llm.common import ascii_lower, table
 #: (rule, verdict): a host, a slash, and the rest of a path.
 RULES = (("net/", "block"), ("example.net/en/", "allow"), ("example.com/de/", "block"), ("org/fr/", "allow"))
 BUCKETS, SIZES = 1 << 14, (3, 4, 5)
-ROUNDS, RATE, DECAY = 800, 4.0, 1e-4
-CUT = 0.5
-
-
-def _labelled() -> list[tuple[str, str, int]]:
-    """(host, path, 1 to block): spam words against plain words, in the same frames of hosts and paths."""
-    spam = "casino bets poker slots pills viagra porn xxx loans payday jackpot lottery cheap-meds replica warez torrent free-money win-cash adult escort".split()
-    pairs = "casino-win free-bets cheap-pills online-casino best-poker hot-slots fast-loans payday-cash buy-pills xxx-video free-spins bet-now big-jackpot ads-track adult-x adserver track-click ad-banner popup-ads".split()
-    plain = "news school library garden music history science travel recipes weather museum university hospital council forum wiki docs research journal kitchen".split()
-    parts = "th er on an re he in ti st nt ha at the ing ble tion es or de le en ch ment que ier ung keit ado los".split()
-    # invented names of two and three common syllables, one for each pair of neighbours at a few distances
-    soft = [a + b + (parts[(i * 7 + step) % len(parts)] if (i + step) % 2 else "") for step in (1, 3, 5, 8) for i, (a, b) in enumerate(zip(parts, parts[step:] + parts[:step], strict=True))]
-    frames = ["{}.example.com", "www.{}.example.com", "m.{}.example.com", "blog.{}.example.org", "{}.example.de", "{}.example.co"]
-    paths = ["/en/1234", "/de/77.html", "/fr/8/", "/", "/es/index.html"]
+ROUNDS, RATE, DECAY = 800, 12.0, 1e-4
+CUT = 0.45
+
+
+# words that make a host unwanted or not, and what either kind is commonly joined with
+SPAM = "casino poker roulette slots jackpot lottery betting bookmaker gambling viagra cialis pharmacy pills steroid porn xxx sexcam escort adult nude payday loans creditfix replica counterfeit torrent warez keygen cracked adserver adclick banner popunder tracker clickbait".split()
+PLAIN = (
+    "news school library garden music history science travel recipes weather museum university hospital council forum wiki docs research journal kitchen theatre gallery church "
+    "village mountain river cycling football chess astronomy biology grammar poetry novel painting carpenter bakery farm vineyard orchestra railway harbour embassy parliament archive"
+).split()
+JOINED = ["{}-online", "my{}", "the-{}", "{}247", "{}-club", "best{}", "{}hub", "{}-world", "free-{}", "{}"]
+HOSTS = ["{}.example.com", "www.{}.example.com", "m.{}.example.org", "{}.example.de", "blog.{}.example.co"]
+PATHS = ["/en/1234", "/de/77.html", "/fr/8/", "/", "/es/index.html"]
+
+
+def labelled_urls(seed: int = 1) -> list[tuple[str, str, int]]:
+    """(host, path, 1 to block): both kinds of words in the same compounds, hosts and paths, and as plain hosts also made-up names."""
+    rnd = random.Random(seed)
+    part = lambda: rnd.choice("bcdfghjklmnprstvw") + rnd.choice("aeiou") + rnd.choice(["", "", "n", "r", "l", "s", "t"])
+    made = ["".join(part() for _ in range(rnd.randint(2, 4))) for _ in range(160)]
     out = []
-    for i, (words, label) in enumerate(((spam, 1), (pairs, 1), (plain, 0), (soft, 0))):
-        for j, word in enumerate(words):
-            out += [(frames[(i + j + k) % len(frames)].format(word), paths[(j + k) % len(paths)], label) for k in range(3)]
-    out += [("www.example.com", f"/{w}/offer", 1) for w in spam[:8]] + [("www.example.com", f"/{w}/page", 0) for w in plain[:8]]
-    return out
-
-
-LABELLED = _labelled()
+    for words, label in ((SPAM, 1), (PLAIN, 0)):
+        out += [(rnd.choice(HOSTS).format(form.format(w)), rnd.choice(PATHS), label) for w in words for form in JOINED]
+        out += [("www.example.com", f"/{w}/{rnd.randint(1, 999)}", label) for w in words]
+    return out + [(rnd.choice(HOSTS).format(w), rnd.choice(PATHS), 0) for w in made for _ in range(2)]
 
 
 def grams(host: str, path: str) -> np.ndarray:
@@ -54,18 +58,23 @@ def grams(host: str, path: str) -> np.ndarray:
     return np.unique(np.array([crc32(data[i : i + n]) % BUCKETS for n in SIZES for i in range(len(data) - n + 1)] or [0], dtype=np.int64))
 
 
-@lru_cache
-def fitted() -> tuple[np.ndarray, float]:
-    """Weights and intercept: gradient steps on the mean log loss of LABELLED, each URL's n-grams scaled to unit length."""
-    rows = [grams(h, p) for h, p, _ in LABELLED]
-    y = np.array([label for _, _, label in LABELLED], dtype=np.float64)
+@lru_cache(maxsize=4)
+def fitted(labelled: tuple[tuple[str, str, int], ...] | None = None) -> tuple[np.ndarray, float]:
+    """Weights and intercept: gradient steps on the mean log loss of the labelled URLs, half from each kind, each URL's n-grams scaled to unit length."""
+    labelled = tuple(labelled_urls()) if labelled is None else labelled
+    rows = [grams(h, p) for h, p, _ in labelled]
+    if not rows:
+        return np.zeros(BUCKETS), -1.0
+    y = np.array([label for _, _, label in labelled], dtype=np.float64)
     at, of = np.concatenate(rows), np.repeat(np.arange(len(rows)), [len(r) for r in rows])
     x = np.repeat([1 / np.sqrt(len(r)) for r in rows], [len(r) for r in rows])
     w, b = np.zeros(BUCKETS), 0.0
+    # both kinds weigh the same, however many of each are labelled
+    share = np.where(y == 1, 0.5 / max(y.sum(), 1), 0.5 / max((1 - y).sum(), 1))
     for _ in range(ROUNDS):
-        err = 1 / (1 + np.exp(-(np.bincount(of, w[at] * x) + b))) - y
-        w -= RATE * (np.bincount(at, err[of] * x, BUCKETS) / len(y) + DECAY * w)
-        b -= 0.1 * RATE * err.mean()
+        err = share * (1 / (1 + np.exp(-(np.bincount(of, w[at] * x, minlength=len(y)) + b))) - y)
+        w -= RATE * (np.bincount(at, err[of] * x, BUCKETS) + DECAY * w)
+        b -= 0.1 * RATE * err.sum()
     return w, b
 
 
@@ -87,9 +96,9 @@ def rule_of(host: Column, path: Column, rules: tuple[tuple[str, str], ...] = RUL
     return found
 
 
-def judged(pages: DataFrame, rules: tuple[tuple[str, str], ...] = RULES) -> DataFrame:
-    """page_id, host, path, rule, verdict, score: one row a page. The score is the model's, for pages without a rule."""
-    weights, bias = fitted()
+def judged(pages: DataFrame, rules: tuple[tuple[str, str], ...] = RULES, labelled: tuple[tuple[str, str, int], ...] | None = None) -> DataFrame:
+    """page_id, host, path, rule, verdict, score: one row a page. The score is the model's, for pages without a rule; ``labelled`` replaces its training table (empty: all are allowed)."""
+    weights, bias = fitted(labelled)
 
     def batches(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in it:
