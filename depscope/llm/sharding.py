@@ -17,7 +17,7 @@ from __future__ import annotations
 import json
 import math
 import uuid
-from dataclasses import asdict, dataclass
+from dataclasses import asdict, dataclass, replace
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -130,6 +130,22 @@ class Store:
             self.commit([r for r in self.runs() if r.path not in gone] + [run], before)
         return self._latest()
 
+    def tidy(self, schema) -> int:
+        """Rewrites runs whose shards are far below target size, each by itself: an arrival that no merge has taken yet comes in a shard for each
+        task that wrote it. A run keeps its name, size and level; all rewritten runs are one version. Returns the latest version."""
+        before, runs = self._latest(), self.runs()
+        made = {}
+        for r in runs:
+            wanted = max(1, math.ceil(r.size / self.target_bytes))
+            if self._shards(r) > 2 * wanted:
+                path = f"{self.path}/runs/{uuid.uuid4().hex}"
+                self.spark.read.schema(schema).parquet(r.path).coalesce(wanted).write.parquet(path)
+                made[r.path] = replace(r, path=path)
+        return self.commit([made.get(r.path, r) for r in runs], before) if made else before
+
+    def _shards(self, run: Run) -> int:
+        return sum(s.getPath().getName().endswith(".parquet") for s in self._fs.listStatus(self._hadoop(run.path)))
+
     def vacuum(self, keep: int = 1) -> None:
         """Drops all but the latest keep versions, then the runs that only those name. Claims stay: a number is never given twice."""
         known = self.versions()
@@ -192,6 +208,7 @@ def sharded(docs: DataFrame, path: str | None = None, target_bytes: int = TARGET
     schema = docs.schema
     store.append(docs, arrival_of(F.col("doc_id")), text_bytes())
     store.compact(schema)
+    store.tidy(schema)
     store.vacuum()
     return store.read(schema)
 
