@@ -4,9 +4,10 @@ Every document has a hash-random key. Within its source, documents lie in key or
 their sizes cut each source at its exact budget. A source whose budget is above its size is taken in whole epochs
 and then up to the cut. The prefix sums are of two levels, so that no source is one task: sizes are summed for
 each range of keys (the key's first hex digits), the ranges' sums are accumulated, and a window accumulates
-inside a range.
+inside a range. Sources may be millions (hosts): their ranks and running sums are of two levels, too, over range partitions.
 
-Defined results: null and empty texts have size 0 and take 0; a null source is a source, ordered last; rows that
+Defined results: null and empty texts have size 0 and take 0; documents without an id share one key, and are spread over ranges by
+size or text; a null source is a source, ordered last; rows that
 repeat a doc_id tie on their key and are ordered by size, equal rows are interchangeable; other columns are
 ignored; an empty table gives an empty result, a table without words takes nothing.
 """
@@ -25,6 +26,8 @@ EPOCHS = 3
 RANGE_DIGITS = 3
 #: Sources whose cuts are broadcast at most (about 100 bytes each); beyond it they are joined by a shuffle.
 BROADCAST_SOURCES = 500_000
+#: The MD5 of no id.
+NO_ID = "d41d8cd98f00b204e9800998ecf8427e"
 WORD = "[^ \\t-\\r]+"
 
 
@@ -32,45 +35,68 @@ def _sources(sized: DataFrame, weights: tuple[int, ...], epochs: int) -> DataFra
     """source, source_size, target: shares by weight, held at epochs times the size, the excess reshared.
 
     Resharing ends where every source has the lesser of weight * level and its cap. Sources reach their cap in the order of
-    cap / weight, so the level follows from running sums over that order. One row a source is all that is gathered.
+    cap / weight, so the level follows from running sums over that order. Two rows of sums are all that is gathered.
     """
     s = sized.groupBy("source").agg(F.sum("size").alias("source_size"))
-    rank = F.row_number().over(Window.orderBy(F.col("source").asc_nulls_last())) - 1
-    weight = F.element_at(F.array(*map(F.lit, weights)), F.pmod(rank, F.lit(len(weights))).cast("int") + 1)
-    s = s.select("source", "source_size", weight.cast("long").alias("w"))
-    by_cap = Window.orderBy(F.col("source_size") / F.col("w"), F.col("source").asc_nulls_last())
-    order = by_cap.rowsBetween(Window.unboundedPreceding, -1)
-    every = Window.orderBy(F.lit(1)).rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    s = s.select(
-        "*",
-        F.row_number().over(by_cap).alias("nth"),
-        (F.sum("source_size").over(every) - epochs * F.coalesce(F.sum("source_size").over(order), F.lit(0))).alias("left"),
-        (F.sum("w").over(every) - F.coalesce(F.sum("w").over(order), F.lit(0))).alias("w_left"),
-    )
-    # the level that would suffice if this source and all after it were not held; the first source that isn't held decides
-    level = F.col("left").cast("double") / F.col("w_left")
+    by_name = _running(s, [F.col("source").asc_nulls_last()], {"rank": F.lit(1)})
+    weight = F.element_at(F.array(*map(F.lit, weights)), F.pmod("rank", F.lit(len(weights))).cast("int") + 1)
+    s = by_name.select("source", "source_size", weight.cast("long").alias("w"))
+    ratio = F.col("source_size") / F.col("w")
+    s = written(_running(s, [ratio.asc(), F.col("source").asc_nulls_last()], {"size_before": F.col("source_size"), "w_before": F.col("w"), "nth": F.lit(1)}), "sources")
+    # the level that would suffice if a source and all after it were not held; the first source that isn't held decides
+    every = s.agg(F.sum("source_size").alias("size"), F.sum("w").alias("w")).first()
+    if every["w"] is None:
+        return s.select("source", "source_size", F.lit(0.0).alias("target"))
+    level = (F.lit(every["size"]) - epochs * F.col("size_before")).cast("double") / (F.lit(every["w"]) - F.col("w_before"))
     held = level * F.col("w") > epochs * F.col("source_size")
-    s = s.withColumn("level", F.min(F.when(~held, F.struct("nth", level.alias("level")))).over(every)["level"])
+    decided = s.agg(F.min(F.when(~held, F.struct("nth", level.alias("level"))))["level"].alias("level")).first()["level"]
     cap = (epochs * F.col("source_size")).cast("double")
-    return s.select("source", "source_size", F.coalesce(F.least(F.col("w") * F.col("level"), cap), cap).alias("target"))
+    return s.select("source", "source_size", (cap if decided is None else F.least(F.col("w") * F.lit(decided), cap)).alias("target"))
+
+
+def _running(rows: DataFrame, order: list[Column], sums: dict[str, Column]) -> DataFrame:
+    """rows with the sum of each column over all rows before, in a total order: inside range partitions, and over the partitions' own sums."""
+    placed = written(rows.repartitionByRange(*order).withColumn("__part", F.spark_partition_id()), "ranges")
+    parts = placed.groupBy(F.col("__part").alias("__p")).agg(*(F.sum(x).alias(f"__{c}") for c, x in sums.items()))
+    # one row a partition
+    earlier = Window.orderBy("__p").rowsBetween(Window.unboundedPreceding, -1)
+    parts = F.broadcast(parts.select("__p", *(F.coalesce(F.sum(f"__{c}").over(earlier), F.lit(0)).alias(f"__{c}") for c in sums)))
+    inside = Window.partitionBy("__part").orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
+    found = placed.select("*", *(F.coalesce(F.sum(x).over(inside), F.lit(0)).alias(c) for c, x in sums.items())).join(parts, F.col("__part") == F.col("__p"))
+    return found.select(*rows.columns, *((F.col(c) + F.col(f"__{c}")).alias(c) for c in sums))
+
+
+def _cell() -> Column:
+    """A document's range: its key's first digits. The key that all documents without an id share has ranges of its own, in the order of the rest of the key, or of sizes."""
+    first, own = F.substring("key", 1, RANGE_DIGITS), F.substring("key", 1, 32)
+    rest = F.when(F.length("key") > 32, F.substring("key", 33, RANGE_DIGITS)).otherwise(F.lpad(F.col("size").cast("string"), 12, "0"))
+    return F.when(own == NO_ID, F.concat(first, F.lit(":"), rest)).when((first == NO_ID[:RANGE_DIGITS]) & (own > NO_ID), F.concat(first, F.lit("~"))).otherwise(first)
 
 
 def _placed(sized: DataFrame, keep: list[str], weights: tuple[int, ...], epochs: int) -> DataFrame:
-    """keep, size, source_size, target, before (the sizes of the source's earlier documents in key order).
+    """keep, size, source_size, target, before (the sizes of the source's earlier documents in key order; 0 for a document without words).
 
-    sized has source, size, key and keep; it is read three times, so it should be a table.
+    sized has source, size, key and keep; it is read several times, so it should be a table.
     """
-    targets = _sources(sized, weights, epochs)
-    cell = F.substring("key", 1, RANGE_DIGITS)
+    targets = written(_sources(sized, weights, epochs), "targets")
+    cell = _cell()
     ranges = sized.groupBy("source", cell.alias("range")).agg(F.sum("size").alias("sum"))
     so_far = Window.partitionBy("source").orderBy("range").rowsBetween(Window.unboundedPreceding, -1)
     ranges = ranges.select("source", "range", F.coalesce(F.sum("sum").over(so_far), F.lit(0)).alias("offset"))
     ranges = ranges.join(targets.withColumnRenamed("source", "__s"), F.col("source").eqNullSafe(F.col("__s")))
     ranges = ranges.select(F.col("source").alias("__source"), F.col("range").alias("__range"), "offset", "source_size", "target")
     within = Window.partitionBy("source", "range").orderBy("key", "size", *keep).rowsBetween(Window.unboundedPreceding, -1)
-    rows = sized.withColumn("range", cell).withColumn("inside", F.coalesce(F.sum("size").over(within), F.lit(0)))
+    # documents without words take none wherever they stand, and however many there are
+    rows = sized.where("size > 0").withColumn("range", cell).withColumn("inside", F.coalesce(F.sum("size").over(within), F.lit(0)))
     rows = rows.join(ranges, F.col("source").eqNullSafe(F.col("__source")) & (F.col("range") == F.col("__range")))
-    return rows.select(*keep, "size", "source_size", "target", (F.col("offset") + F.col("inside")).alias("before"))
+    rows = rows.select(*keep, "size", "source_size", "target", (F.col("offset") + F.col("inside")).alias("before"))
+    wordless = sized.where("size = 0").join(_small(targets.withColumnRenamed("source", "__s")), F.col("source").eqNullSafe(F.col("__s")))
+    return rows.unionByName(wordless.select(*keep, "size", "source_size", "target", F.lit(0).cast("long").alias("before")))
+
+
+def _small(sources: DataFrame) -> DataFrame:
+    """A table of one row a source, broadcast up to BROADCAST_SOURCES rows."""
+    return F.broadcast(sources) if sources.count() <= BROADCAST_SOURCES else sources
 
 
 def _epochs_and_rest() -> tuple[Column, Column]:
@@ -111,7 +137,7 @@ def mixed_documents(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, epochs:
     """
     at = written(cuts(docs, weights, epochs), "cuts")
     at = at.select(F.col("source").alias("__source"), F.col("whole").alias("__whole"), F.col("cut").alias("__cut"))
-    at = F.broadcast(at) if at.count() <= BROADCAST_SOURCES else at
+    at = _small(at)
     copies = F.col("__whole") + F.when(F.col("__key") <= F.col("__cut"), 1).otherwise(0)
     rows = packed(docs, F.col("source").alias("__own"), _document_key().alias("__key"))
     rows = rows.join(at, F.col("__own").eqNullSafe(F.col("__source"))).withColumn("__copies", copies).where("__copies > 0")
