@@ -229,15 +229,16 @@ def counted(docs: DataFrame, path: str = VOCABULARY) -> DataFrame:
 def edited(state: DataFrame, edits: DataFrame, path: str = VOCABULARY) -> DataFrame:
     """The state after edits (doc_id, start, end, replacement, one row an edit); documents without edits pass unread by Python."""
     listed = edits.groupBy(F.col("doc_id").alias("edit_id")).agg(F.collect_list(F.struct("start", "end", "replacement")).alias("edits"))
-    rows = state.join(listed, F.col("doc_id") == F.col("edit_id"), "left").drop("edit_id")
+    touched = F.col("doc_id") == F.col("edit_id")
 
     def one(counter: Counter, row: dict) -> dict:
         tree = Tree.of_leaves(counter, row["text"], [(x["chars"], x["pieces"], x["tokens"]) for x in row["leaves"]])
         tree.edit_all([(e["start"], e["end"], e["replacement"] or "") for e in row["edits"]])
         return {"doc_id": row["doc_id"], "text": tree.text, "leaves": _leaf_rows(tree)}
 
-    changed = _mapped(state.sparkSession, rows.where("edits IS NOT NULL"), STATE, one, path)
-    return rows.where("edits IS NULL").drop("edits").unionByName(changed)
+    changed = _mapped(state.sparkSession, state.join(listed, touched).drop("edit_id"), STATE, one, path)
+    # the others meet the ids of edits alone
+    return state.join(listed.select("edit_id"), touched, "left_anti").unionByName(changed)
 
 
 def totals(state: DataFrame) -> DataFrame:
