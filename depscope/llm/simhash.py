@@ -1,13 +1,14 @@
 """SimHash near-duplicates over a byte-position inverted index with count filtering.
 
 A 64-bit fingerprint is eight bytes at eight positions. Two fingerprints that differ in at most
-three bits share at least five positional bytes. Of any five positions at least three lie in one
-half of the eight, so the eight position triples inside the halves reach every such pair: the index
-has eight posting lists entries a fingerprint, each keyed by three positional bytes. Candidates of a
-list tally their shared positional bytes; those with five or more are verified by bit difference.
+three bits share at least five positional bytes. The index has sixteen posting list entries a fingerprint, each keyed by three positional
+bytes: the position triples inside the halves of two crossing splits of the eight positions. Of any five positions three or more lie in
+one half of each split, so such a pair meets in at least two lists, while a pair that shares just three bytes meets in one at most.
+Meetings are tallied for each pair; pairs that reach two are retained and verified by bit difference.
 
 Posting lists longer than ``LONG_LIST`` are never paired: their members move on to lists of five shared
-positional bytes (56 position sets). Lists that are still longer than ``SWARM`` hold fingerprints that
+positional bytes (56 position sets), where one meeting is the minimum and pairs are verified as they meet. A pair that has a long list among its own is found there, so the
+tally over short lists alone loses nothing. Lists that are still longer than ``SWARM`` hold fingerprints that
 vary in 24 bits only; there each member joins, for every choice of three free bits, the group of equal
 remaining bits. Members of such a group differ in those three bits at most, so a star to the smallest member
 links the group without pairs. All three ways are exact, so no link is lost at any list length.
@@ -28,9 +29,13 @@ from pyspark.sql import functions as F
 
 from depscope.llm.common import packed, table, written
 
-MAX_BITS, SHARED_BYTES, SHINGLE = 3, 5, 3
-#: Longest posting list that is paired directly, at three and at five shared bytes.
+MAX_BITS, SHINGLE = 3, 3
+#: Lists of three positional bytes in which fingerprints within MAX_BITS bits meet at least.
+LEAST_LISTS = 2
+#: Longest posting list that is paired directly, at three and at five shared bytes. All pairs of the former are tallied, so it is short.
 LONG_LIST, SWARM = 512, 4096
+#: Rows of one fingerprint beyond which its label is handed to several tasks.
+HOT = 1_000_000
 #: Shingles whose bits are unpacked at once: 64 bytes each.
 BLOCK = 200_000
 
@@ -43,7 +48,8 @@ def _mask(positions: tuple[int, ...]) -> int:
     return _signed(sum(0xFF << (8 * p) for p in positions))
 
 
-TRIPLES = [t for half in (range(4), range(4, 8)) for t in combinations(half, 3)]
+SPLITS = (((0, 1, 2, 3), (4, 5, 6, 7)), ((0, 1, 4, 5), (2, 3, 6, 7)))
+TRIPLES = [t for split in SPLITS for half in split for t in combinations(half, 3)]
 FIVES = list(combinations(range(8), 5))
 
 
@@ -95,17 +101,26 @@ def _postings(fps: DataFrame, position_sets: list[tuple[int, ...]]) -> DataFrame
     return fps.select("fp", F.explode(F.array(*keyed)).alias("k")).select("k.slot", "k.part", "fp")
 
 
-def _shared_bytes(a: Column, b: Column) -> Column:
-    """How many of the eight positional bytes two fingerprints share."""
-    x = a.bitwiseXOR(b)
-    return sum((F.when(x.bitwiseAND(F.lit(_mask((p,)))) == 0, 1).otherwise(0) for p in range(8)), F.lit(0))
-
-
-def _paired(postings: DataFrame) -> DataFrame:
+def _met(postings: DataFrame) -> DataFrame:
+    """a, b: pairs of different fingerprints, once for each list that holds both."""
     a, b = postings.alias("a"), postings.alias("b")
     x, y = F.col("a.fp"), F.col("b.fp")
-    close = (x < y) & (_shared_bytes(x, y) >= SHARED_BYTES) & (F.bit_count(x.bitwiseXOR(y)) <= MAX_BITS)
-    return a.join(b, (F.col("a.slot") == F.col("b.slot")) & (F.col("a.part") == F.col("b.part")) & close).select(x.alias("a"), y.alias("b"))
+    return a.join(b, (F.col("a.slot") == F.col("b.slot")) & (F.col("a.part") == F.col("b.part")) & (x < y)).select(x.alias("a"), y.alias("b"))
+
+
+def _meetings(postings: DataFrame) -> DataFrame:
+    """a, b, lists: pairs of different fingerprints and the number of lists that hold both."""
+    return _met(postings).groupBy("a", "b").agg(F.count("*").alias("lists"))
+
+
+def _near(pairs: DataFrame) -> DataFrame:
+    """The pairs that differ in MAX_BITS bits or fewer."""
+    return pairs.where(F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= MAX_BITS).select("a", "b")
+
+
+def _verified(met: DataFrame, least: int) -> DataFrame:
+    """The pairs that reach the least number of meetings, verified."""
+    return _near(met.where(F.col("lists") >= least))
 
 
 def _by_length(postings: DataFrame, most: int) -> tuple[DataFrame, DataFrame]:
@@ -122,12 +137,12 @@ def links(fps: DataFrame, long_list: int = LONG_LIST, swarm: int = SWARM) -> Dat
     fps: distinct fingerprints in column fp. Every edge joins fingerprints within MAX_BITS bits.
     """
     short, long = _by_length(_postings(fps, TRIPLES), long_list)
-    found = _paired(short)
+    found = _verified(_meetings(short), LEAST_LISTS)
     long = written(long.select("fp").distinct(), "long")
     if long.isEmpty():
         return found.distinct()
     short, dense = _by_length(_postings(long, FIVES), swarm)
-    found = found.unionByName(_paired(short))
+    found = found.unionByName(_verified(_meetings(short), 1))
     dense = written(dense, "swarm")
     if not dense.isEmpty():
         found = found.unionByName(_stars(dense))
@@ -174,18 +189,25 @@ def near_duplicates(docs: DataFrame, long_list: int = LONG_LIST, swarm: int = SW
     """doc_id, text_key, fp, component_id, keep: one row a document. keep marks the one row key (doc_id, text_key) that stays of each component."""
     fps = written(fingerprints(docs), "fingerprints")
     least = F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "text_key"))
-    heads = fps.groupBy("fp").agg(least.alias("head"))
+    heads = written(fps.groupBy("fp").agg(least.alias("head"), F.count("*").alias("n")), "heads")
     return labelled(fps, heads, components(links(heads.select("fp"), long_list, swarm)))
 
 
 def labelled(fps: DataFrame, heads: DataFrame, roots: DataFrame) -> DataFrame:
-    """fps with component_id and keep, from the heads (fp, head) of equal fingerprints and the components (node, root) among these."""
-    rooted = heads.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", F.coalesce("root", "fp").alias("root"), "head")
+    """fps with component_id and keep, from the heads (fp, head, n: its rows) of equal fingerprints and the components (node, root) among these.
+
+    A fingerprint of more than HOT rows is spread over several salted keys; there are at most rows / HOT such fingerprints.
+    """
+    rooted = heads.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", F.coalesce("root", "fp").alias("root"), "head", "n")
     # of each component the least head; a component's fingerprints join it by its root
     best = rooted.groupBy("root").agg(F.min("head").alias("best"))
-    labels = rooted.join(best, "root").select("fp", F.col("best.doc_id").alias("component_id"), F.col("best.text_key").alias("best_key"))
+    parts = F.ceil(F.col("n") / HOT).cast("int")
+    labels = rooted.join(best, "root").select("fp", F.col("best.doc_id").alias("component_id"), F.col("best.text_key").alias("best_key"), F.explode(F.sequence(F.lit(0), parts - 1)).alias("salt"))
+    hot = F.broadcast(heads.where(F.col("n") > HOT).select("fp", parts.alias("parts")))
+    salt = F.coalesce(F.pmod(F.xxhash64("doc_id", "text_key"), F.col("parts")), F.lit(0)).cast("int")
+    fps = fps.join(hot, "fp", "left").withColumn("salt", salt)
     same = F.col("doc_id").eqNullSafe(F.col("component_id")) & (F.col("text_key") == F.col("best_key"))
-    return fps.join(labels, "fp").select("doc_id", "text_key", "fp", "component_id", same.alias("keep"))
+    return fps.join(labels, ["fp", "salt"]).select("doc_id", "text_key", "fp", "component_id", same.alias("keep"))
 
 
 def deduplicated(docs: DataFrame, rule: Callable[[DataFrame], DataFrame] = near_duplicates) -> DataFrame:
