@@ -33,7 +33,7 @@ MAX_BITS, SHINGLE = 3, 3
 #: Lists of three positional bytes in which fingerprints within MAX_BITS bits meet at least.
 LEAST_LISTS = 2
 #: Longest posting list that is paired directly, at three and at five shared bytes. All pairs of the former are tallied, so it is short.
-LONG_LIST, SWARM = 512, 4096
+LONG_LIST, SWARM = 64, 4096
 #: Rows of one fingerprint beyond which its label is handed to several tasks.
 HOT = 1_000_000
 #: Shingles whose bits are unpacked at once: 64 bytes each.
@@ -142,7 +142,7 @@ def links(fps: DataFrame, long_list: int = LONG_LIST, swarm: int = SWARM) -> Dat
     if long.isEmpty():
         return found.distinct()
     short, dense = _by_length(_postings(long, FIVES), swarm)
-    found = found.unionByName(_verified(_meetings(short), 1))
+    found = found.unionByName(_near(_met(short)))
     dense = written(dense, "swarm")
     if not dense.isEmpty():
         found = found.unionByName(_stars(dense))
