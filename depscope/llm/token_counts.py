@@ -17,6 +17,7 @@ ignored; an empty table gives an empty result.
 from __future__ import annotations
 
 import base64
+import os
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
@@ -27,7 +28,7 @@ from pyspark.sql import functions as F
 from depscope.llm.common import table, text_or_empty
 from depscope.llm.pii import BASE, BASE_GATE, _spans
 
-VOCABULARY = "/opt/tokenizers/byte_bpe_50k.tiktoken"
+VOCABULARY = os.environ.get("DEPSCOPE_VOCABULARY", "/opt/tokenizers/byte_bpe_50k.tiktoken")
 #: Fixed value: the public pre-token pattern of the vocabulary.
 PATTERN = r"'(?:s|t|re|ve|m|ll|d)| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 LEAF, CONTEXT = 64, 4
