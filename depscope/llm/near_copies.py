@@ -1,12 +1,20 @@
 """Near copies by whole texts: an edge for five-word shingle sets of Jaccard similarity 0.8 or more.
 
-Candidates come from MinHash bands, 30 of six rows each: sets of similarity s meet in one with probability
-1 - (1 - s^6)^30, which is 0.9999 at 0.8. Each candidate is verified on all the shingles of both texts, so every
-edge is right; a pair that meets in no band is the only kind that can be missed.
-
-Equal sets are one node. In a band's bucket all nodes are first compared with one hub, another one in each bucket;
-where that leaves a bucket in more than one component, its nodes of different components are compared pair by pair.
-So a large group of near copies costs a star, and no candidate is left out.
+Candidates come from op3's index first: each set has a 64-bit fingerprint (a bit is 1 if set in over half of its
+shingle hashes), and fingerprints that differ in three bits or fewer are met by their positional bytes, tallied and
+verified by ``simhash.links``. Most sets of similarity 0.8 differ in more bits than any such bound allows, so MinHash bands, 30
+of six rows each, add to these: sets of similarity s meet in one with probability 1 - (1 - s^6)^30, which is 0.9999 at
+0.8. Each candidate of either kind is verified on all the shingles of both texts, so every edge is right; a pair that
+differs in four bits or more and meets in no band is the only kind that can be missed.
+
+Equal sets are one node. In a band's bucket all nodes are first compared with one hub, another one in each bucket.
+Where that leaves a bucket in more than one component, its nodes of different components are compared: pair by pair in
+buckets of up to ``SHORT`` nodes, by what they share beyond the common text in longer ones. There a shingle is common if more than
+``COMMON`` nodes of long buckets have it. Two nodes share at most their shared rare shingles, which are tallied for each pair, and the smaller number
+of common ones that either has. Pairs whose bound stays below what the similarity needs are not linked; all others are
+verified. So a large group whose members are alike, but not alike enough, costs its shingles instead of its pairs, and
+no candidate is left out. (Pairs that common shingles alone could link are still taken one by one: a group of copies that
+each keep more than 8/9 of a text which is no document itself.)
 
 Defined results: words are as in op3 (white space of bytes, A-Z lower-cased); a text of fewer than five words is one
 shingle; null, empty and wordless texts are equal.
@@ -22,7 +30,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from depscope.llm.common import written
-from depscope.llm.simhash import components, labelled
+from depscope.llm.simhash import components, labelled, links
 
 SHINGLE, BANDS, ROWS = 5, 30, 6
 #: Similarity of at least 4/5: nine times the shared shingles reach four times the sum of both sizes.
@@ -31,6 +39,10 @@ SHARED, SIZES = 9, 4
 MOST_BROADCAST = 200_000
 #: Shingles that pass all hash functions at once.
 BLOCK = 256
+#: Nodes of a bucket that are compared pair by pair.
+SHORT = 16
+#: Nodes of long buckets that have a shingle, beyond which it is common.
+COMMON = 16
 
 
 def _hashes(text: bytes):
@@ -58,6 +70,12 @@ def _band_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
     flip, times = (rnd.integers(0, 1 << 64, BANDS * ROWS, dtype=np.uint64) for _ in range(2))
     times |= np.uint64(1)
 
+    def fingerprint(hashes) -> int:
+        ones = np.zeros(64, dtype=np.int64)
+        for at in range(0, len(hashes), BLOCK):
+            ones += np.unpackbits(hashes[at : at + BLOCK, None].view(np.uint8), axis=1).sum(axis=0, dtype=np.int64)
+        return int(np.packbits(2 * ones > len(hashes)).view(np.int64)[0])
+
     def bands(hashes) -> list[int]:
         if not len(hashes):
             return []
@@ -70,8 +88,8 @@ def _band_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
     for batch in batches:
         sets = [_hashes(t.as_py() or b"") for t in batch.column("text").cast(pa.binary())]
         yield pa.RecordBatch.from_arrays(
-            [batch.column("doc_id"), batch.column("text_key"), pa.array(map(_node, sets), pa.int64()), pa.array(map(len, sets), pa.int32()), pa.array(map(bands, sets), pa.list_(pa.int64()))],
-            ["doc_id", "text_key", "fp", "n", "bands"],
+            [batch.column("doc_id"), batch.column("text_key"), pa.array(map(_node, sets), pa.int64()), pa.array(map(len, sets), pa.int32()), pa.array(map(fingerprint, sets), pa.int64()), pa.array(map(bands, sets), pa.list_(pa.int64()))],
+            ["doc_id", "text_key", "fp", "n", "bits", "bands"],
         )
 
 
@@ -90,42 +108,93 @@ def _alike_in_size(n: Column, m: Column) -> Column:
     return 5 * F.least(n, m) >= 4 * F.greatest(n, m)
 
 
-def _verified(pairs: DataFrame, docs: DataFrame, heads: DataFrame) -> DataFrame:
-    """The pairs (a, b) of nodes that are similar by all shingles of their heads' texts."""
-    asked = pairs.select(F.explode(F.array("a", "b")).alias("fp")).distinct().join(heads.drop("n"), "fp")
+def _sets(nodes: DataFrame, docs: DataFrame, heads: DataFrame) -> DataFrame:
+    """fp, hashes: the shingle hashes of nodes (column fp), from their heads' texts."""
+    asked = nodes.select("fp").distinct().join(heads.drop("n"), "fp")
     asked = written(asked.select("fp", F.col("head.doc_id").alias("head_id"), F.col("head.text_key").alias("head_key")), "asked")
     few = asked.count() <= MOST_BROADCAST
     own = F.col("doc_id").eqNullSafe(F.col("head_id")) & (F.col("text_key") == F.col("head_key"))
     texts = _keyed(docs).join(F.broadcast(asked) if few else asked, own).select("fp", "text")
-    sets = written(texts.mapInArrow(_set_batches, "fp long, hashes array<long>").dropDuplicates(["fp"]), "sets")
+    return written(texts.mapInArrow(_set_batches, "fp long, hashes array<long>").dropDuplicates(["fp"]), "sets")
+
+
+def _verified(pairs: DataFrame, docs: DataFrame, heads: DataFrame) -> DataFrame:
+    """The pairs (a, b) of nodes that are similar by all shingles of their heads' texts."""
+    sets = _sets(pairs.select(F.explode(F.array("a", "b")).alias("fp")), docs, heads)
     both = pairs.join(sets.select(F.col("fp").alias("a"), F.col("hashes").alias("x")), "a").join(sets.select(F.col("fp").alias("b"), F.col("hashes").alias("y")), "b")
     return both.where(SHARED * F.size(F.array_intersect("x", "y")) >= SIZES * (F.size("x") + F.size("y"))).select("a", "b")
 
 
-def _same_bucket_pairs(postings: DataFrame, roots: DataFrame, done: DataFrame) -> DataFrame:
-    """Pairs of nodes that share a bucket, are alike in size, in different components and not among those done."""
+def _ordered(x: str, y: str) -> list[Column]:
+    return [F.least(x, y).alias("a"), F.greatest(x, y).alias("b")]
+
+
+def bit_pairs(nodes: DataFrame) -> DataFrame:
+    """Pairs (a, b) of nodes (fp, n, bits): of each fingerprint its least node with the others, and the least nodes of fingerprints that op3's index links."""
+    firsts = written(nodes.groupBy("bits").agg(F.min(F.struct("fp", "n")).alias("first"), F.count("*").alias("nodes")), "fingerprints")
+    same = nodes.join(firsts.where("nodes > 1"), "bits").where(F.col("fp") != F.col("first.fp"))
+    same = same.where(_alike_in_size(F.col("n"), F.col("first.n"))).select(*_ordered("fp", "first.fp"))
+    x, y = (firsts.select(F.col("bits").alias(c), F.col("first").alias(f"first_{c}")) for c in ("a", "b"))
+    met = links(firsts.select(F.col("bits").alias("fp"))).join(x, "a").join(y, "b")
+    met = met.where(_alike_in_size(F.col("first_a.n"), F.col("first_b.n"))).select(*_ordered("first_a.fp", "first_b.fp"))
+    return same.unionByName(met)
+
+
+def _crowd_pairs(crowd: DataFrame, open_: DataFrame, docs: DataFrame, heads: DataFrame) -> DataFrame:
+    """Pairs of nodes of long buckets in different components that may be similar by what they share beyond common shingles.
+
+    crowd: fp, n, root of these nodes; open_: their postings (key, fp, n, root).
+    """
+    held = written(_sets(crowd, docs, heads).join(crowd, "fp").select("fp", "n", "root", F.explode("hashes").alias("s")), "held")
+    had = held.groupBy("s").agg(F.count("*").alias("df"))
+    rare = held.join(had.where(F.col("df").between(2, COMMON)).select("s"), "s")
+    common = held.join(had.where(F.col("df") > COMMON).select("s"), "s").groupBy("fp").agg(F.count("*").alias("c"))
+    common = written(crowd.join(common, "fp", "left").select("fp", F.coalesce("c", F.lit(0)).alias("c")), "common")
+    x, y = rare.alias("x"), rare.alias("y")
+    other = (F.col("x.s") == F.col("y.s")) & (F.col("x.fp") < F.col("y.fp")) & (F.col("x.root") != F.col("y.root")) & _alike_in_size(F.col("x.n"), F.col("y.n"))
+    tally = x.join(y, other).groupBy(F.col("x.fp").alias("a"), F.col("y.fp").alias("b")).agg(F.count("*").alias("shared"), F.first(F.col("x.n") + F.col("y.n")).alias("both"))
+    tally = tally.join(common.select(F.col("fp").alias("a"), F.col("c").alias("ca")), "a").join(common.select(F.col("fp").alias("b"), F.col("c").alias("cb")), "b")
+    by_rare = tally.where(SHARED * (F.col("shared") + F.least("ca", "cb")) >= SIZES * F.col("both")).select("a", "b")
+    # by common shingles alone: 9 c >= 4 (n + m) for both of a pair, so m is at most (9 c - 4 n) / 4; nodes without such an m in their bucket go first
+    most = open_.join(common, "fp").withColumn("m", F.floor((SHARED * F.col("c") - SIZES * F.col("n")) / SIZES)).where(5 * F.col("m") >= 4 * F.col("n"))
+    least = most.groupBy("key").agg(F.min("n").alias("least"))
+    most = written(most.join(least, "key").where("m >= least").drop("least"), "most")
+    x, y = most.alias("x"), most.alias("y")
+    other = (F.col("x.key") == F.col("y.key")) & (F.col("x.root") < F.col("y.root")) & (F.col("x.m") >= F.col("y.n")) & (F.col("y.m") >= F.col("x.n")) & _alike_in_size(F.col("x.n"), F.col("y.n"))
+    return by_rare.unionByName(x.join(y, other).select(*_ordered("x.fp", "y.fp")))
+
+
+def _same_bucket_pairs(postings: DataFrame, roots: DataFrame, done: DataFrame, docs: DataFrame, heads: DataFrame) -> DataFrame:
+    """Pairs of nodes that share a bucket, may be similar, are in different components and not among those done."""
     rooted = postings.join(roots.select(F.col("node").alias("fp"), "root"), "fp", "left").select("key", "fp", "n", F.coalesce("root", "fp").alias("root"))
     mixed = rooted.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count("*").alias("nodes")).where("lo < hi and nodes > 2")
-    open_ = written(rooted.join(mixed.select("key"), "key", "left_semi"), "mixed")
-    x, y = open_.alias("x"), open_.alias("y")
+    open_ = written(rooted.join(mixed.select("key", "nodes"), "key"), "mixed")
+    crowd = written(open_.where(F.col("nodes") > SHORT).select("fp", "n", "root").distinct(), "crowd")
+    short = open_.where(F.col("nodes") <= SHORT).join(crowd.select("fp", F.lit(True).alias("long")), "fp", "left")
+    x, y = short.alias("x"), short.alias("y")
     other = (F.col("x.key") == F.col("y.key")) & (F.col("x.root") < F.col("y.root")) & _alike_in_size(F.col("x.n"), F.col("y.n"))
-    pairs = x.join(y, other).select(F.least("x.fp", "y.fp").alias("a"), F.greatest("x.fp", "y.fp").alias("b")).distinct()
-    return pairs.join(done, ["a", "b"], "left_anti")
+    # two nodes of long buckets are met by their shingles, whatever bucket they share
+    pairs = x.join(y, other & (F.col("x.long").isNull() | F.col("y.long").isNull())).select(*_ordered("x.fp", "y.fp"))
+    if not crowd.isEmpty():
+        own = open_.join(crowd.select("fp"), "fp", "left_semi").drop("nodes")
+        pairs = pairs.unionByName(_crowd_pairs(crowd, own, docs, heads))
+    return written(pairs.distinct(), "met").join(done, ["a", "b"], "left_anti")
 
 
 def near_copies(docs: DataFrame) -> DataFrame:
     """doc_id, text_key, fp (the shingle set's key), component_id, keep: one row a document, as simhash.near_duplicates has them."""
-    rows = written(_keyed(docs).mapInArrow(_band_batches, "doc_id long, text_key long, fp long, n int, bands array<long>"), "bands")
+    rows = written(_keyed(docs).mapInArrow(_band_batches, "doc_id long, text_key long, fp long, n int, bits long, bands array<long>"), "bands")
     fps = rows.select("doc_id", "text_key", "fp")
     heads = written(fps.groupBy("fp").agg(F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "text_key")).alias("head"), F.count("*").alias("n")), "heads")
+    nodes = written(rows.select("fp", "n", "bits").distinct(), "nodes")
     postings = rows.select("fp", "n", F.explode("bands").alias("key")).groupBy("key", "fp").agg(F.first("n").alias("n"))
     buckets = postings.groupBy("key").agg(F.min(F.struct(F.xxhash64("key", "fp").alias("h"), "fp", "n")).alias("hub"), F.count("*").alias("nodes"))
     shared = written(postings.join(buckets.where("nodes > 1"), "key").select("key", "fp", "n", "hub"), "postings")
     stars = shared.where((F.col("fp") != F.col("hub.fp")) & _alike_in_size(F.col("n"), F.col("hub.n")))
-    done = written(stars.select(F.least("fp", "hub.fp").alias("a"), F.greatest("fp", "hub.fp").alias("b")).distinct(), "stars")
+    done = written(bit_pairs(nodes).unionByName(stars.select(*_ordered("fp", "hub.fp"))).distinct(), "stars")
     edges = written(_verified(done, docs, heads), "edges")
     roots = components(edges)
-    more = written(_same_bucket_pairs(shared, roots, done), "pairs")
+    more = written(_same_bucket_pairs(shared, roots, done, docs, heads), "pairs")
     if not more.isEmpty():
         roots = components(edges.unionByName(_verified(more, docs, heads)))
     return labelled(fps, heads, roots)

@@ -5,6 +5,7 @@ from __future__ import annotations
 import random
 
 import corpus_pipeline as P
+from depscope.llm import near_copies as near
 from depscope.llm.near_copies import near_copies
 from tests.llm import helpers as H
 
@@ -75,3 +76,51 @@ def test_run_matches_all_pairs(spark):
     copies = H.mixed_copies(rows)
     want = sorted((i, t) for i, t, _ in rows for _ in range(copies[i]))
     assert sorted((r.doc_id, r.text) for r in P.run(spark, small).collect()) == want
+
+
+def _node_rows(spark, texts):
+    """near_copies' own first pass: one row a text."""
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    made = near._keyed(docs).mapInArrow(near._band_batches, "doc_id long, text_key long, fp long, n int, bits long, bands array<long>")
+    return docs, made.localCheckpoint()
+
+
+def test_fingerprints_within_three_bits_are_met_by_the_index(spark):
+    """The stage takes candidates from op3's index; every pair of fingerprints within three bits is connected."""
+    rnd = random.Random(5)
+    texts = []
+    for g in range(30):
+        base = [f"g{g}w{i}" for i in range(400)]
+        texts += [" ".join(base), " ".join(edited(base, 1, rnd)), " ".join(edited(base, 3, rnd))]
+    _, rows = _node_rows(spark, texts)
+    nodes = rows.select("fp", "n", "bits").distinct()
+    met = {(r.a, r.b) for r in near.bit_pairs(nodes).collect()}
+    bits = {r.fp: r.bits for r in nodes.collect()}
+    up = {f: f for f in bits}
+
+    def find(f):
+        while up[f] != f:
+            f = up[f]
+        return f
+
+    for a, b in met:
+        up[find(a)] = find(b)
+    close = [(a, b) for a in bits for b in bits if a < b and ((bits[a] ^ bits[b]) & (1 << 64) - 1).bit_count() <= 3]
+    assert len(close) >= 10 and all(((bits[a] ^ bits[b]) & (1 << 64) - 1).bit_count() <= 3 for a, b in met)
+    assert all(find(a) == find(b) for a, b in close)
+
+
+def test_a_group_alike_but_not_alike_enough_is_not_compared_pair_by_pair(spark, monkeypatch):
+    """400 copies of a text that isn't among them, none near another, but for 20 with a near copy of their own; components as in brute force."""
+    rnd = random.Random(9)
+    base = [f"b{i}" for i in range(300)]
+    texts = [" ".join(edited(base, 9, rnd)) for _ in range(400)]
+    texts += [" ".join(edited(t.split(), 1, rnd)) for t in texts[:20]]
+    docs = list(enumerate(texts))
+    compared = []
+    verified = near._verified
+    monkeypatch.setattr(near, "_verified", lambda pairs, *rest: compared.append(pairs.count()) or verified(pairs, *rest))
+    got = {r.doc_id: r.component_id for r in near_copies(spark.createDataFrame(docs, "doc_id long, text string")).collect()}
+    assert got == brute_force(docs)
+    assert len(set(got.values())) == 400
+    assert sum(compared) < 30 * len(docs)
