@@ -33,7 +33,7 @@ def test_every_query_has_sql_or_a_reason():
     assert set(workloads.queries()) == set(workloads.oracle_sql())
 
 
-READING = ["affected_views", "affected_views_direct_only", "armstrong_augmentation", "armstrong_composition", "armstrong_implies", "attr_reuse", "baseline_catalyst_keys", "candidate_keys", "dangling_references", "dep_direct", "dep_reach_recursive_sql"]
+READING = ["affected_views", "affected_views_direct_only", "armstrong_augmentation", "armstrong_composition", "armstrong_implies", "attr_reuse", "baseline_catalyst_keys", "candidate_keys", "dangling_references", "dep_direct", "dep_reach_recursive_sql", "fd_chase_recall"]
 
 
 @pytest.mark.parametrize("name", READING)
