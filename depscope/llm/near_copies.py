@@ -13,8 +13,13 @@ buckets of up to ``SHORT`` nodes, by what they share beyond the common text in l
 ``COMMON`` nodes of long buckets have it. Two nodes share at most their shared rare shingles, which are tallied for each pair, and the smaller number
 of common ones that either has. Pairs whose bound stays below what the similarity needs are not linked; all others are
 verified. So a large group whose members are alike, but not alike enough, costs its shingles instead of its pairs, and
-no candidate is left out. (Pairs that common shingles alone could link are still taken one by one: a group of copies that
-each keep more than 8/9 of a text which is no document itself.)
+no candidate is left out.
+
+Pairs that common shingles alone could link are met in three steps. Each node is compared with its buckets' centres, the nodes nearest to the
+common text; then with the best of the nodes that lack the same common shingle. Both only add links, which leave fewer components. For
+the rest, nodes that link nothing but what their centre links are left out, and the others are met by equal parts of their common shingles
+and told apart by sketches (``_common_pairs``), which loses no pair. Where many copies lie around a text that is none of them, each as far from it
+as the similarity allows or nearer, in several components, a part is often equal by chance, and sketches of such pairs are still held against each other one by one.
 
 Defined results: words are as in op3 (white space of bytes, A-Z lower-cased); a text of fewer than five words is one
 shingle; null, empty and wordless texts are equal.
@@ -118,9 +123,10 @@ def _sets(nodes: DataFrame, docs: DataFrame, heads: DataFrame) -> DataFrame:
     return written(texts.mapInArrow(_set_batches, "fp long, hashes array<long>").dropDuplicates(["fp"]), "sets")
 
 
-def _verified(pairs: DataFrame, docs: DataFrame, heads: DataFrame) -> DataFrame:
-    """The pairs (a, b) of nodes that are similar by all shingles of their heads' texts."""
-    sets = _sets(pairs.select(F.explode(F.array("a", "b")).alias("fp")), docs, heads)
+def _verified(pairs: DataFrame, docs: DataFrame, heads: DataFrame, sets: DataFrame | None = None) -> DataFrame:
+    """The pairs (a, b) of nodes that are similar by all shingles of their heads' texts; sets has these where they are at hand."""
+    if sets is None:
+        sets = _sets(pairs.select(F.explode(F.array("a", "b")).alias("fp")), docs, heads)
     both = pairs.join(sets.select(F.col("fp").alias("a"), F.col("hashes").alias("x")), "a").join(sets.select(F.col("fp").alias("b"), F.col("hashes").alias("y")), "b")
     return both.where(SHARED * F.size(F.array_intersect("x", "y")) >= SIZES * (F.size("x") + F.size("y"))).select("a", "b")
 
@@ -140,45 +146,146 @@ def bit_pairs(nodes: DataFrame) -> DataFrame:
     return same.unionByName(met)
 
 
-def _crowd_pairs(crowd: DataFrame, open_: DataFrame, docs: DataFrame, heads: DataFrame) -> DataFrame:
-    """Pairs of nodes of long buckets in different components that may be similar by what they share beyond common shingles.
+def _rooted(nodes: DataFrame, roots: DataFrame) -> DataFrame:
+    """nodes (fp and more) with the root of their component; a node without an edge is its own."""
+    return nodes.join(roots.select(F.col("node").alias("fp"), "root"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
+
+
+def _merged(roots: DataFrame, edges: DataFrame) -> DataFrame:
+    """roots (node, root) after more edges: components are found among the roots that these join."""
+    for end in ("a", "b"):
+        ends = edges.join(roots.select(F.col("node").alias(end), "root"), end, "left").withColumn(end, F.coalesce("root", end))
+        edges = ends.select("a", "b")
+    top = components(edges)
+    below = roots.join(top.select(F.col("node").alias("root"), F.col("root").alias("top")), "root", "left")
+    alone = top.join(roots.select("node"), "node", "left_anti")
+    return written(below.select("node", F.coalesce("top", "root").alias("root")).unionByName(alone), "roots")
+
+
+def _open(postings: DataFrame, roots: DataFrame) -> DataFrame:
+    """key, fp, n, root, nodes: the buckets of several components, but for those of two nodes, which have been compared."""
+    rooted = _rooted(postings.select("key", "fp", "n"), roots)
+    mixed = rooted.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count("*").alias("nodes")).where("lo < hi and nodes > 2")
+    return written(rooted.join(mixed.select("key", "nodes"), "key"), "mixed")
+
+
+def _known(crowd: DataFrame, sets: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Of the nodes of long buckets: fp, n, common (its common shingles), c (their number), slack; and fp, n, s: the rare shingles that several have.
 
-    crowd: fp, n, root of these nodes; open_: their postings (key, fp, n, root).
+    By common shingles alone two sets are similar if 9 times the shared ones reach 4 (n + m). So their common shingles differ in at most
+    (slack + slack) / 9, where slack is 9 c - 8 n, and a partner's m is at most (9 c - 4 n) / 4.
     """
-    held = written(_sets(crowd, docs, heads).join(crowd, "fp").select("fp", "n", "root", F.explode("hashes").alias("s")), "held")
+    held = written(sets.join(crowd, "fp").select("fp", "n", F.explode("hashes").alias("s")), "held")
     had = held.groupBy("s").agg(F.count("*").alias("df"))
-    rare = held.join(had.where(F.col("df").between(2, COMMON)).select("s"), "s")
-    common = held.join(had.where(F.col("df") > COMMON).select("s"), "s").groupBy("fp").agg(F.count("*").alias("c"))
-    common = written(crowd.join(common, "fp", "left").select("fp", F.coalesce("c", F.lit(0)).alias("c")), "common")
-    x, y = rare.alias("x"), rare.alias("y")
+    rare = written(held.join(had.where(F.col("df").between(2, COMMON)).select("s"), "s"), "rare")
+    common = held.join(had.where(F.col("df") > COMMON).select("s"), "s").groupBy("fp").agg(F.collect_list("s").alias("common"))
+    known = crowd.join(common, "fp", "left").withColumn("common", F.coalesce("common", F.array().cast("array<long>"))).withColumn("c", F.size("common"))
+    return written(known.withColumn("slack", SHARED * F.col("c") - 2 * SIZES * F.col("n")), "known"), rare
+
+
+def _rare_pairs(rare: DataFrame, known: DataFrame, roots: DataFrame) -> DataFrame:
+    """Pairs of different components that share a rare shingle and may be similar."""
+    rooted = _rooted(rare, roots)
+    x, y = rooted.alias("x"), rooted.alias("y")
     other = (F.col("x.s") == F.col("y.s")) & (F.col("x.fp") < F.col("y.fp")) & (F.col("x.root") != F.col("y.root")) & _alike_in_size(F.col("x.n"), F.col("y.n"))
     tally = x.join(y, other).groupBy(F.col("x.fp").alias("a"), F.col("y.fp").alias("b")).agg(F.count("*").alias("shared"), F.first(F.col("x.n") + F.col("y.n")).alias("both"))
-    tally = tally.join(common.select(F.col("fp").alias("a"), F.col("c").alias("ca")), "a").join(common.select(F.col("fp").alias("b"), F.col("c").alias("cb")), "b")
-    by_rare = tally.where(SHARED * (F.col("shared") + F.least("ca", "cb")) >= SIZES * F.col("both")).select("a", "b")
-    # by common shingles alone: 9 c >= 4 (n + m) for both of a pair, so m is at most (9 c - 4 n) / 4; nodes without such an m in their bucket go first
-    most = open_.join(common, "fp").withColumn("m", F.floor((SHARED * F.col("c") - SIZES * F.col("n")) / SIZES)).where(5 * F.col("m") >= 4 * F.col("n"))
+    tally = tally.join(known.select(F.col("fp").alias("a"), F.col("c").alias("ca")), "a").join(known.select(F.col("fp").alias("b"), F.col("c").alias("cb")), "b")
+    return tally.where(SHARED * (F.col("shared") + F.least("ca", "cb")) >= SIZES * F.col("both")).select("a", "b")
+
+
+def _centred(open_: DataFrame, known: DataFrame) -> DataFrame:
+    """fp, n, m, root, slack, centre (slack, fp, n, root): nodes that common shingles alone may link, once for each centre that one of their buckets has.
+
+    A bucket's centre is its node of most slack. m is the largest partner; nodes without one in any of their buckets are left out.
+    """
+    most = open_.join(known.select("fp", "slack", F.floor((SHARED * F.col("c") - SIZES * F.col("n")) / SIZES).alias("m")), "fp").where(5 * F.col("m") >= 4 * F.col("n"))
     least = most.groupBy("key").agg(F.min("n").alias("least"))
-    most = written(most.join(least, "key").where("m >= least").drop("least"), "most")
-    x, y = most.alias("x"), most.alias("y")
-    other = (F.col("x.key") == F.col("y.key")) & (F.col("x.root") < F.col("y.root")) & (F.col("x.m") >= F.col("y.n")) & (F.col("y.m") >= F.col("x.n")) & _alike_in_size(F.col("x.n"), F.col("y.n"))
-    return by_rare.unionByName(x.join(y, other).select(*_ordered("x.fp", "y.fp")))
+    most = written(most.join(least, "key").where("m >= least").select("key", "fp", "n", "m", "root", "slack"), "most")
+    centres = most.groupBy("key").agg(F.max(F.struct("slack", "fp", "n", "root")).alias("top"), F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi")
+    return written(most.join(centres.select("key", F.col("top").alias("centre")), "key").drop("key").distinct(), "centred")
 
 
-def _same_bucket_pairs(postings: DataFrame, roots: DataFrame, done: DataFrame, docs: DataFrame, heads: DataFrame) -> DataFrame:
-    """Pairs of nodes that share a bucket, may be similar, are in different components and not among those done."""
-    rooted = postings.join(roots.select(F.col("node").alias("fp"), "root"), "fp", "left").select("key", "fp", "n", F.coalesce("root", "fp").alias("root"))
-    mixed = rooted.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count("*").alias("nodes")).where("lo < hi and nodes > 2")
-    open_ = written(rooted.join(mixed.select("key", "nodes"), "key"), "mixed")
-    crowd = written(open_.where(F.col("nodes") > SHORT).select("fp", "n", "root").distinct(), "crowd")
+def _beside_centre(centred: DataFrame, known: DataFrame) -> DataFrame:
+    """centred with common and whole: the node's and the centre's common shingles."""
+    rows = centred.join(known.select("fp", "common"), "fp")
+    return rows.join(known.select(F.col("fp").alias("centre_fp"), F.col("common").alias("whole")), F.col("centre.fp") == F.col("centre_fp")).drop("centre_fp")
+
+
+def _centre_stars(centred: DataFrame, known: DataFrame) -> DataFrame:
+    """Pairs of each node with its centres."""
+    apart = (F.col("root") != F.col("centre.root")) & _alike_in_size(F.col("n"), F.col("centre.n"))
+    return centred.where(apart).select(*_ordered("fp", "centre.fp")).distinct()
+
+
+def _lack_stars(centred: DataFrame, known: DataFrame) -> DataFrame:
+    """Pairs of each node with those of most slack among the nodes that lack the same shingle of a centre: where the text that all have in common
+    is no node, copies edited in one place link those that are edited there, too. Of a node's centres the best counts."""
+    single = centred.groupBy("fp", "n", "root", "slack").agg(F.max("centre").alias("centre"))
+    lacks = _beside_centre(single, known).withColumn("lacks", F.array_except("whole", "common")).where(4 * F.size("lacks") <= F.size("whole"))
+    lacks = written(lacks.select("fp", "n", "root", "slack", F.col("centre.fp").alias("centre"), F.explode("lacks").alias("s")), "lacks")
+    best = lacks.groupBy("centre", "s").agg(F.max(F.struct("slack", "fp", "n", "root")).alias("best"), F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi")
+    apart = (F.col("root") != F.col("best.root")) & _alike_in_size(F.col("n"), F.col("best.n"))
+    return lacks.join(best.drop("lo", "hi"), ["centre", "s"]).where(apart).select(*_ordered("fp", "best.fp")).distinct()
+
+
+def _part_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """For each level from the node's own on: its common shingles dealt into 1, 2, 3, 5, 9, ... parts by hash, and a sum of each part.
+
+    Beside it a sketch of 256 bits, of which each shingle flips one: those of two nodes differ in no more bits than the nodes in shingles.
+    """
+    import numpy as np
+
+    for batch in batches:
+        at, levels, parts, sums, sketches = [], [], [], [], []
+        for i, (common, own, asked) in enumerate(zip(*(batch.column(c).to_pylist() for c in ("common", "level", "levels")))):
+            hashes = np.array(common, dtype=np.int64).view(np.uint64)
+            mixed = (hashes ^ (hashes >> np.uint64(29))) * np.uint64(0x9E3779B97F4A7C15)
+            odd = np.bincount((mixed >> np.uint64(40)).astype(np.int64) % 256, minlength=256) % 2 == 1
+            sketch = np.packbits(odd).view(np.int64).tolist()
+            for level in asked:
+                if level >= own:
+                    made = np.zeros((1 << level - 1) + 1 if level else 1, dtype=np.uint64)
+                    np.add.at(made, (hashes % np.uint64(len(made))).astype(np.int64), mixed ^ (mixed >> np.uint64(32)))
+                    at += [i] * len(made)
+                    levels += [level] * len(made)
+                    parts += range(len(made))
+                    sums += made.view(np.int64).tolist()
+                    sketches += [sketch] * len(made)
+        kept = batch.select(["fp", "n", "m", "root", "slack", "level", "centre"]).take(pa.array(at, pa.int64()))
+        yield pa.RecordBatch.from_arrays([*kept.columns, pa.array(levels, pa.int32()), pa.array(parts, pa.int32()), pa.array(sums, pa.int64()), pa.array(sketches, pa.list_(pa.int64()))], [*kept.schema.names, "at_level", "part", "sum", "sketch"])
+
+
+def _common_pairs(centred: DataFrame, known: DataFrame) -> DataFrame:
+    """Pairs of different components that may be similar by common shingles alone.
+
+    A node whose common shingles are all its centre's, which is no larger and in its component, is left out: what it links, the centre links.
+    Two that differ in h shingles at most have the same in one of h + 1 parts, so nodes are met by equal parts. A node's level tells how
+    many parts suffice for it and any node of no more slack; a pair is met at the higher of both levels. Pairs whose sketches differ in more than h bits go.
+    """
+    inner = (F.col("fp") != F.col("centre.fp")) & (F.col("root") == F.col("centre.root")) & (F.col("n") >= F.col("centre.n")) & (F.size(F.array_except("common", "whole")) == 0)
+    left = _beside_centre(centred, known).where(~inner).select("fp", "n", "m", "root", "slack", "common", F.col("centre.fp").alias("centre"))
+    most = F.floor(2 * F.greatest("slack", F.lit(0)) / SHARED)  # differing shingles
+    left = written(left.withColumn("level", F.when(most == 0, 0).otherwise(F.ceil(F.log2(most)) + 1).cast("int")), "left")
+    levels = left.groupBy("centre").agg(F.collect_set("level").alias("levels"), F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi")
+    schema = "fp long, n int, m long, root long, slack int, level int, centre long, at_level int, part int, sum long, sketch array<long>"
+    parts = written(left.join(levels.select("centre", "levels"), "centre").mapInArrow(_part_batches, schema), "parts")
+    x, y = parts.alias("x"), parts.alias("y")
+    met = [F.col(f"x.{c}") == F.col(f"y.{c}") for c in ("centre", "at_level", "part", "sum")]
+    other = (F.col("x.root") < F.col("y.root")) & (F.col("x.m") >= F.col("y.n")) & (F.col("y.m") >= F.col("x.n")) & _alike_in_size(F.col("x.n"), F.col("y.n"))
+    other = other & (F.col("x.slack") + F.col("y.slack") >= 0) & (F.greatest("x.level", "y.level") == F.col("x.at_level"))
+    differ = sum((F.bit_count(F.col("x.sketch")[i].bitwiseXOR(F.col("y.sketch")[i])) for i in range(4)), F.lit(0))
+    other = other & (SHARED * differ <= F.col("x.slack") + F.col("y.slack"))
+    for c in met:
+        other = c & other
+    return x.join(y, other).select(*_ordered("x.fp", "y.fp")).distinct()
+
+
+def _short_pairs(open_: DataFrame, crowd: DataFrame) -> DataFrame:
+    """Pairs of different components in short buckets that may be similar. Two nodes of long buckets are met by their shingles, whatever bucket they share."""
     short = open_.where(F.col("nodes") <= SHORT).join(crowd.select("fp", F.lit(True).alias("long")), "fp", "left")
     x, y = short.alias("x"), short.alias("y")
     other = (F.col("x.key") == F.col("y.key")) & (F.col("x.root") < F.col("y.root")) & _alike_in_size(F.col("x.n"), F.col("y.n"))
-    # two nodes of long buckets are met by their shingles, whatever bucket they share
-    pairs = x.join(y, other & (F.col("x.long").isNull() | F.col("y.long").isNull())).select(*_ordered("x.fp", "y.fp"))
-    if not crowd.isEmpty():
-        own = open_.join(crowd.select("fp"), "fp", "left_semi").drop("nodes")
-        pairs = pairs.unionByName(_crowd_pairs(crowd, own, docs, heads))
-    return written(pairs.distinct(), "met").join(done, ["a", "b"], "left_anti")
+    return x.join(y, other & (F.col("x.long").isNull() | F.col("y.long").isNull())).select(*_ordered("x.fp", "y.fp"))
 
 
 def near_copies(docs: DataFrame) -> DataFrame:
@@ -192,9 +299,25 @@ def near_copies(docs: DataFrame) -> DataFrame:
     shared = written(postings.join(buckets.where("nodes > 1"), "key").select("key", "fp", "n", "hub"), "postings")
     stars = shared.where((F.col("fp") != F.col("hub.fp")) & _alike_in_size(F.col("n"), F.col("hub.n")))
     done = written(bit_pairs(nodes).unionByName(stars.select(*_ordered("fp", "hub.fp"))).distinct(), "stars")
-    edges = written(_verified(done, docs, heads), "edges")
-    roots = components(edges)
-    more = written(_same_bucket_pairs(shared, roots, done, docs, heads), "pairs")
+    roots = components(_verified(done, docs, heads))
+    open_ = _open(shared, roots)
+    crowd = written(open_.where(F.col("nodes") > SHORT).select("fp", "n").distinct(), "crowd")
+    more = None
+    if not crowd.isEmpty():
+        sets = _sets(crowd, docs, heads)
+        known, rare = _known(crowd, sets)
+        for stars in (_centre_stars, _lack_stars):
+            centred = _centred(open_, known)
+            pairs = written(stars(centred, known).join(done, ["a", "b"], "left_anti"), "stars")
+            found = written(_verified(pairs, docs, heads, sets), "found")
+            if not found.isEmpty():
+                roots = _merged(roots, found)
+                open_ = _open(shared, roots)
+            done = done.unionByName(pairs)
+        more = _rare_pairs(rare, known, roots).unionByName(_common_pairs(_centred(open_, known), known))
+    short = _short_pairs(open_, crowd)
+    more = written((short if more is None else short.unionByName(more)).distinct(), "met").join(done, ["a", "b"], "left_anti")
+    more = written(more, "pairs")
     if not more.isEmpty():
-        roots = components(edges.unionByName(_verified(more, docs, heads)))
+        roots = _merged(roots, _verified(more, docs, heads))
     return labelled(fps, heads, roots)

@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import random
 
+import pytest
+
 import corpus_pipeline as P
 from depscope.llm import near_copies as near
 from depscope.llm.near_copies import near_copies
@@ -124,3 +126,66 @@ def test_a_group_alike_but_not_alike_enough_is_not_compared_pair_by_pair(spark,
     assert got == brute_force(docs)
     assert len(set(got.values())) == 400
     assert sum(compared) < 30 * len(docs)
+
+
+def _apart(rnd: random.Random) -> list[str]:
+    """400 copies that keep more than 8/9 of a text, which is none of them, none near another; some edited in the same places, or nearly, in other words."""
+    base, texts = [f"b{i}" for i in range(300)], []
+    for k in range(400):
+        places = rnd.sample(range(5, 294), 6)
+        moved = [*places[:5], places[5] + 1]
+        for own in [places] + [places] * (k < 20) + [moved] * (k < 10):
+            texts.append(" ".join(f"edit{rnd.random()}" if i in own else w for i, w in enumerate(base)))
+    return texts
+
+
+def _around(rnd: random.Random) -> list[str]:
+    """300 copies of a text, which is none of them, with one edit, all near each other; 300 with six, near to those edited in one of these places."""
+    base = [f"b{i}" for i in range(300)]
+    return [" ".join(edited(base, k, rnd)) for k in (1, 6) for _ in range(300)]
+
+
+@pytest.mark.parametrize("made", [_apart, _around])
+def test_copies_that_common_shingles_could_link_are_not_compared_pair_by_pair(spark, monkeypatch, made):
+    docs = list(enumerate(made(random.Random(4))))
+    compared = []
+    verified = near._verified
+    monkeypatch.setattr(near, "_verified", lambda pairs, *rest: compared.append(pairs.count()) or verified(pairs, *rest))
+    got = {r.doc_id: r.component_id for r in near_copies(spark.createDataFrame(docs, "doc_id long, text string")).collect()}
+    assert got == brute_force(docs)
+    print(f"{len(docs)} copies, {len(set(got.values()))} components, compared {compared}")
+    assert sum(compared) < 50 * len(docs)
+
+
+@pytest.mark.parametrize("seed", [1, 2])
+def test_common_pairs_hold_every_pair_that_common_shingles_link(spark, seed):
+    """No pair of different components is lost by levels, parts and left-out nodes: all pairs by brute force, for sets drawn around one text."""
+    rnd = random.Random(seed)
+    base, made = [rnd.getrandbits(62) for _ in range(90)], {}
+    for fp in range(150):
+        lacks = {i % 90 for at in rnd.sample(range(90), rnd.choice([0, 1, 1, 2])) for i in range(at, at + rnd.choice([1, 3, 5]))}
+        common = sorted(h for i, h in enumerate(base) if i not in lacks)
+        made[fp] = (len(common) + rnd.choice([0, 0, 2, len(lacks)]), common, fp if rnd.random() < 0.5 else rnd.randrange(5))
+    known = [(fp, n, common, len(common), 9 * len(common) - 8 * n) for fp, (n, common, _) in made.items()]
+    known = spark.createDataFrame(known, "fp long, n int, common array<long>, c int, slack int").localCheckpoint()
+    open_ = spark.createDataFrame([(7, fp, n, root, 150) for fp, (n, _, root) in made.items()], "key long, fp long, n int, root long, nodes long")
+    got = {(r.a, r.b) for r in near._common_pairs(near._centred(open_, known), known).collect()}
+
+    def find(i, up):
+        while up[i] != i:
+            i = up[i]
+        return i
+
+    def joined(pairs):
+        up = {r: r for _, _, r in made.values()}
+        for a, b in pairs:
+            x, y = find(made[a][2], up), find(made[b][2], up)
+            up[max(x, y)] = min(x, y)
+        return {r: find(r, up) for r in up}
+
+    def links(a, b):
+        return 9 * len({*made[a][1]} & {*made[b][1]}) >= 4 * (made[a][0] + made[b][0])
+
+    want = [(a, b) for a in made for b in made if a < b and made[a][2] != made[b][2] and links(a, b)]
+    assert len(want) > 100
+    assert joined(want) == joined(p for p in got if links(*p))
